@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import curriculum_mix, line_dedup
+from . import curriculum_mix, line_dedup, simhash_vptree
 
 QUERIES = {
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op8_simhash_vptree": simhash_vptree.op8_simhash_vptree,
     "op10_curriculum_mix": curriculum_mix.op10_curriculum_mix,
 }
 
