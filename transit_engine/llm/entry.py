@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import curriculum_mix, line_dedup, simhash_vptree
+from . import curriculum_mix, language_id, line_dedup, simhash_vptree, toxicity
 
 QUERIES = {
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op6_language_id": language_id.op6_language_id,
     "op8_simhash_vptree": simhash_vptree.op8_simhash_vptree,
+    "op9_toxicity": toxicity.op9_toxicity,
     "op10_curriculum_mix": curriculum_mix.op10_curriculum_mix,
 }
 
