@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import curriculum_mix, language_id, line_dedup, simhash_vptree, toxicity
+from . import curriculum_mix, language_id, line_dedup, piece_lattice, simhash_vptree, toxicity
 
 QUERIES = {
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op5_piece_lattice": piece_lattice.op5_piece_lattice,
     "op6_language_id": language_id.op6_language_id,
     "op8_simhash_vptree": simhash_vptree.op8_simhash_vptree,
     "op9_toxicity": toxicity.op9_toxicity,
