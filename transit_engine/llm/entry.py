@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from . import curriculum_mix, language_id, line_dedup, piece_lattice, simhash_vptree, toxicity
+from . import curriculum_mix, hnsw, itq_neardup, language_id, line_dedup, piece_lattice, simhash_vptree, toxicity
 
 QUERIES = {
+    "op1_itq_neardup": itq_neardup.op1_itq_neardup,
+    "op3_hnsw": hnsw.op3_hnsw,
     "op4_line_dedup": line_dedup.op4_line_dedup,
     "op5_piece_lattice": piece_lattice.op5_piece_lattice,
     "op6_language_id": language_id.op6_language_id,
