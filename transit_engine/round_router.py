@@ -22,14 +22,16 @@ class Answer:
     work: list[dict]
 
 
-def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, admitted: DataFrame | None = None, to_all: bool = False, count: bool = False) -> Answer:
+def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, admitted: DataFrame | None = None, to_all: bool = False, targets: DataFrame | None = None, count: bool = False) -> Answer:
     """Earliest arrivals with at most 0..k transfers for a batch of requests (req_id, source, target,
     dep), all at once: the request is part of every key.
 
     A round boards the earliest trip of every route at every stop improved in the round before (as-of),
     rides to all later stops, keeps the least arrival per (request, stop), walks, and keeps what beats
     the stop's best and, with prune, the target's label. admitted: (req_id, route_id) pairs that may
-    be used, the cell-pruned variant. Each round's state is written, so lineage and failures stay short.
+    be used, the cell-pruned variant. to_all: labels (req_id, stop_id, n, arr) of all stops, or of
+    targets (req_id, target); then stops count only below the largest label once all targets have one.
+    Each round's state is written, so lineage and failures stay short.
     """
     near = net.neighbourhood()
     lens = net.route_stops.groupBy("route_id").agg(F.max("idx").alias("last"))
@@ -63,6 +65,13 @@ def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, adm
                 state_n = state_n.join(label_now, "req_id", "left").withColumn("marked", F.col("marked") & (F.col("label").isNull() | (F.col("best") < F.col("label"))))
         else:
             found = state_n.where("marked").select("req_id", "stop_id", F.lit(n).alias("n"), F.col("t").alias("arr"))
+            if targets is not None:
+                found = found.join(targets.select("req_id", F.col("target").alias("stop_id")), ["req_id", "stop_id"], "left_semi")
             labels = found if labels is None else labels.unionByName(found)
+            if targets is not None and prune:
+                wanted = targets.groupBy("req_id").agg(F.countDistinct("target").alias("wanted"))
+                best = labels.groupBy("req_id", "stop_id").agg(F.min("arr").alias("arr")).groupBy("req_id").agg(F.count("*").alias("have"), F.max("arr").alias("label"))
+                bound = best.join(wanted, "req_id").where("have = wanted").select("req_id", "label")
+                state_n = state_n.join(bound, "req_id", "left").withColumn("marked", F.col("marked") & (F.col("label").isNull() | (F.col("best") < F.col("label"))))
         state = state_n.select("req_id", "stop_id", "best", "marked")
     return Answer(written(labels), state, work)
