@@ -33,13 +33,30 @@ def materialise(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    made = spark.read.schema(df.schema).parquet(path)
+    made.scratch_path = path
+    return made
+
+
+def discard(made: DataFrame) -> None:
+    """Deletes a table of materialise() that nothing will read again."""
+    spark = made.sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path(made.scratch_path)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shield(docs: DataFrame, own: set[str]):
+    """docs with columns that bear names of own (in any case) renamed, and a function that selects the
+    columns of docs, names and order restored, from what was derived from it."""
+    names = {c: f"_shielded_{i}_{c}" if c.lower() in own else c for i, c in enumerate(docs.columns)}
+    moved = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()])
+    return moved, lambda d: d.select(*[F.col(f"`{n}`").alias(c) for c, n in names.items()])
+
+
 def held_out(doc_id: Column) -> Column:
     """crc32 of the id's decimal text, modulo 5, is 0; a null id is never held out."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(False))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, materialise, table
+from .common import WORD, materialise, shield, table
 
 #: Weights by the rank of a source, repeating (fixed values of the contract).
 WEIGHTS = (5, 2, 1)
@@ -93,12 +93,13 @@ def op10_curriculum_mix(spark, sf_dir: str) -> DataFrame:
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of the mix in training order: one that is taken twice comes twice, one that is not taken goes."""
     plan = curriculum(docs).where("taken > 0").select(
-        "doc_id", F.ceil(F.col("taken") / F.col("size")).cast("int").alias("passes_"), F.col("position").alias("position_")
-    ).dropDuplicates(["doc_id"])
-    d = docs.join(plan, docs["doc_id"].eqNullSafe(plan["doc_id"])).drop(plan["doc_id"])
+        F.col("doc_id").alias("mixed_id"), F.ceil(F.col("taken") / F.col("size")).cast("int").alias("passes_"), F.col("position").alias("position_")
+    ).dropDuplicates(["mixed_id"])
+    d, back = shield(docs, {"mixed_id", "passes_", "position_", "pass_"})
+    d = d.join(plan, F.col("doc_id").eqNullSafe(F.col("mixed_id")))
     d = d.withColumn("pass_", F.explode(F.sequence(F.lit(1), F.col("passes_"))))
     d = d.repartitionByRange("pass_", "position_", "doc_id").sortWithinPartitions("pass_", "position_", "doc_id")
-    return d.select(*docs.columns)
+    return back(d)
 
 
 ORACLE = r"""

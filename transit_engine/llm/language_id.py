@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held_out, table
+from .common import held_out, shield, table
 
 _PAD = 256
 
@@ -212,4 +212,5 @@ def op6_language_id(spark, sf_dir: str) -> DataFrame:
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language stay; those without any (`und`) go."""
-    return identify(docs, train(docs)).where("lang_pred <> 'und'").select(*docs.columns)
+    d, back = shield(docs, {"lang_pred", "score"})
+    return back(identify(d, train(docs)).where("lang_pred <> 'und'"))

@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, table
+from .common import materialise, shield, table
 
 _SLOTS = 4
 _EDGE = r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$"
@@ -210,10 +210,11 @@ def op4_line_dedup(spark, sf_dir: str) -> DataFrame:
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without their common lines; n_chars follows where it is a column."""
-    d = drop_common_lines(docs).withColumn("text", F.col("kept_text"))
+    d, back = shield(docs, {"n_lines", "n_dropped", "kept_text", "stays_", "gone_", "k_id"})
+    d = drop_common_lines(d).withColumn("text", F.col("kept_text"))
     if "n_chars" in docs.columns:
         d = d.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return d.select(*docs.columns)
+    return back(d)
 
 
 ORACLE = r"""

@@ -8,7 +8,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, materialise, table
+from .common import components, materialise, shield, table
 
 _ALL = np.uint64(0x0101010101010101)
 
@@ -174,4 +174,5 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)).cast("long"))
     stays = near_duplicates(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(key.alias("k_id_")).distinct()
     # rows that repeat an id: the last step leaves one, on the partitioning that the join has
-    return docs.withColumn("k_id_", key).join(stays, "k_id_", "left_semi").dropDuplicates(["k_id_"]).select(*docs.columns)
+    d, back = shield(docs, {"k_id_"})
+    return back(d.withColumn("k_id_", key).join(stays, "k_id_", "left_semi").dropDuplicates(["k_id_"]))
