@@ -22,24 +22,24 @@ sv AS (SELECT k, i, n, stop_id FROM sx JOIN sz ON sz.region = sx.reg JOIN st ON
 sreg AS (SELECT s_suppkey::BIGINT AS k, n_regionkey AS home FROM supplier JOIN nation ON s_nationkey = n_nationkey),
 sup AS (SELECT k, home, 1 + k % 3 AS step, 6 + k % 5 AS plain, k % 10 = 9 AS trunk FROM sreg),
 creg AS (SELECT c_custkey, c_mktsegment, n_regionkey AS region FROM customer JOIN nation ON c_nationkey = n_nationkey),
-st AS (SELECT stop_id, region, pos, poi FROM (SELECT c_custkey::BIGINT AS stop_id, region, row_number() OVER (PARTITION BY region ORDER BY c_custkey) - 1 AS pos,
+st AS MATERIALIZED (SELECT stop_id, region, pos, poi FROM (SELECT c_custkey::BIGINT AS stop_id, region, row_number() OVER (PARTITION BY region ORDER BY c_custkey) - 1 AS pos,
        c_mktsegment AS poi FROM creg) c JOIN (SELECT home, 3 * count(*) + 6 AS most FROM sreg GROUP BY home) h ON h.home = c.region WHERE pos < most),
 {visits}
 bothways AS (SELECT 2 * k AS route_id, i, stop_id FROM sv UNION ALL SELECT 2 * k + 1, n - 1 - i, stop_id FROM sv),
-rs AS (SELECT route_id, row_number() OVER (PARTITION BY route_id ORDER BY i) - 1 AS idx, stop_id FROM
+rs AS MATERIALIZED (SELECT route_id, row_number() OVER (PARTITION BY route_id ORDER BY i) - 1 AS idx, stop_id FROM
        (SELECT route_id, stop_id, min(i) AS i FROM bothways GROUP BY ALL)),
 lg AS (SELECT *, coalesce(120 + 60 * ((lag(stop_id) OVER w + stop_id) % 5), 0) AS leg FROM rs WINDOW w AS (PARTITION BY route_id ORDER BY idx)),
-off AS (SELECT route_id, idx, stop_id, sum(leg) OVER (PARTITION BY route_id ORDER BY idx)::INT AS o FROM lg),
+off AS MATERIALIZED (SELECT route_id, idx, stop_id, sum(leg) OVER (PARTITION BY route_id ORDER BY idx)::INT AS o FROM lg),
 hw AS (SELECT route_id, 18000 + route_id % 7 * 60 AS f, 600 + 300 * ((route_id // 2) % 4) AS h FROM (SELECT DISTINCT route_id FROM rs)),
 tr AS (SELECT route_id * 1000 + rank AS trip_id, route_id, rank, f + rank * h AS start FROM
        (SELECT *, unnest(generate_series(0, (86400 - f + h - 1) // h - 1)) AS rank FROM hw)),
-ev AS (SELECT trip_id, tr.route_id, rank, idx, stop_id, (start + o)::INT AS arr FROM tr JOIN off ON off.route_id = tr.route_id),
+ev AS MATERIALIZED (SELECT trip_id, tr.route_id, rank, idx, stop_id, (start + o)::INT AS arr FROM tr JOIN off ON off.route_id = tr.route_id),
 near1 AS (SELECT x.stop_id AS a, y.stop_id AS b, CASE WHEN x.pos % 4 = 0 THEN 90 + 30 * ((x.pos // 4) % 4)
        WHEN x.pos % 4 = 1 AND (x.pos // 4) % 3 = 0 THEN 100 + 20 * ((x.pos // 4) % 6) END AS secs FROM st x JOIN st y ON x.region = y.region AND y.pos = x.pos + 1),
 w1 AS (SELECT a, b, secs FROM near1 WHERE secs <= {limit} UNION ALL SELECT b, a, secs FROM near1 WHERE secs <= {limit}),
 w2 AS (SELECT a, b, min(secs) AS secs FROM (SELECT * FROM w1 UNION ALL SELECT x.a, y.b, x.secs + y.secs FROM w1 x JOIN w1 y ON x.b = y.a AND x.a <> y.b) GROUP BY a, b),
-wk AS (SELECT a, b, min(secs)::INT AS secs FROM (SELECT * FROM w2 UNION ALL SELECT x.a, y.b, x.secs + y.secs FROM w2 x JOIN w2 y ON x.b = y.a AND x.a <> y.b) GROUP BY a, b),
-nb AS (SELECT stop_id AS a, stop_id AS b, 0 AS secs FROM st UNION ALL SELECT * FROM wk)"""
+wk AS MATERIALIZED (SELECT a, b, min(secs)::INT AS secs FROM (SELECT * FROM w2 UNION ALL SELECT x.a, y.b, x.secs + y.secs FROM w2 x JOIN w2 y ON x.b = y.a AND x.a <> y.b) GROUP BY a, b),
+nb AS MATERIALIZED (SELECT stop_id AS a, stop_id AS b, 0 AS secs FROM st UNION ALL SELECT * FROM wk)"""
 
 
 def with_(body: str, mesh: bool = False, limit: int | None = None) -> str:

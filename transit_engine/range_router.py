@@ -144,16 +144,17 @@ def lookup(profile: DataFrame, requests: DataFrame) -> DataFrame:
 
 
 def isochrone(net: Network, sources: DataFrame, budget: int, k: int = 4) -> DataFrame:
-    """(req_id, stop_id, secs): stops that (req_id, source, dep) reaches by transit within budget seconds."""
-    got = round_router.route(net, sources.withColumn("target", F.lit(None).cast("long")), k, to_all=True).labels
-    least = got.groupBy("req_id", "stop_id").agg(F.min("arr").alias("arr")).join(sources.select("req_id", "dep"), "req_id")
-    return least.select("req_id", "stop_id", (F.col("arr") - F.col("dep")).cast("int").alias("secs")).where(F.col("secs") <= budget)
+    """(req_id, stop_id, secs): stops that (req_id, source, dep) reaches within budget seconds, on foot or
+    by transit."""
+    least = round_router.route(net, sources.withColumn("target", F.lit(None).cast("long")), k, to_all=True).state
+    least = least.join(sources.select("req_id", "dep"), "req_id")
+    return least.select("req_id", "stop_id", (F.col("best") - F.col("dep")).cast("int").alias("secs")).where(F.col("secs") <= budget)
 
 
 def nearest_poi(net: Network, sources: DataFrame, poi: str, most: int, k: int = 4) -> DataFrame:
     """The most stops of a class that are reached first: (req_id, place, stop_id, arr)."""
-    got = round_router.route(net, sources.withColumn("target", F.lit(None).cast("long")), k, to_all=True).labels
-    least = got.groupBy("req_id", "stop_id").agg(F.min("arr").alias("arr")).join(net.stops.where(F.col("poi") == poi).select("stop_id"), "stop_id")
+    least = round_router.route(net, sources.withColumn("target", F.lit(None).cast("long")), k, to_all=True).state
+    least = least.select("req_id", "stop_id", F.col("best").alias("arr")).join(net.stops.where(F.col("poi") == poi).select("stop_id"), "stop_id")
     w = Window.partitionBy("req_id").orderBy("arr", "stop_id")
     return least.withColumn("place", F.row_number().over(w)).where(F.col("place") <= most).select("req_id", "place", "stop_id", "arr")
 
