@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise, table
+from .common import discard, materialise, table
 from .repeats import CONTEXT, KEY, Powers, Rolling, classed, context_rows, covered, keyed, mix, per_document, repeated_names, to_batch, window_repeats
 
 _U = np.uint64
@@ -135,7 +135,7 @@ def sliding_least(h: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(right[:out], left[w - 1 : w - 1 + out])
 
 
-def _slices(batches, column: int, size: int = 4_000_000):
+def _slices(batches, column: int, size: int = 1_000_000):
     for whole in batches:
         got = np.cumsum(np.asarray(pa.compute.fill_null(pa.compute.binary_length(whole.column(column)), 0)))
         lo = 0
@@ -232,7 +232,7 @@ def hashed_windows(docs: DataFrame, reps: DataFrame, width: int) -> DataFrame:
 
     def run(batches):
         powers = Powers()
-        for b in _slices(batches, 2, 1_000_000):
+        for b in _slices(batches, 2):
             begin, h = _symbols(b.column(2).to_pylist())
             roll = Rolling(h, powers)
             spans = b.column(3)
@@ -264,6 +264,7 @@ def drop_repeats(docs: DataFrame, width: int = 400, shard_passages: int = 4000)
     """
     contexts = materialise(byte_contexts(docs, width))
     some = materialise(repeated_names(contexts))
+    discard(contexts)
     kinds = classed(some)
     twice = kinds.where("members > 1").select("x", "c")
     full = some.join(twice.hint("merge"), ["x", "c"]).select(*KEY, "at", "n")
