@@ -54,19 +54,18 @@ rq AS (SELECT req_id, s.stop_id AS source, t.stop_id AS target, dep FROM rq0 JOI
        WHERE NOT EXISTS (SELECT 1 FROM nb WHERE nb.a = s.stop_id AND nb.b = t.stop_id))"""
 
 
-def rounds(start: str, k: int = 4, via: str = "rs") -> str:
+def rounds(start: str, k: int = 4) -> str:
     """Label-correcting rounds over all stops, unrolled: l0..lk (req_id, stop_id, t), arrivals after at
-    most n transfers, from start (req_id, stop_id, t). via: the route stops that may be used."""
-    out = [f"d AS (SELECT ev.route_id, ev.idx, ev.arr AS dt, ev.rank FROM ev JOIN (SELECT route_id, max(idx) AS last FROM rs GROUP BY route_id) m ON m.route_id = ev.route_id AND ev.idx < m.last)"]
+    most n transfers, from start (req_id, stop_id, t). Trips are found by arithmetic on the headway."""
+    out = ["hb AS MATERIALIZED (SELECT off.route_id, idx, stop_id, f, h, o, (86400 - f + h - 1) // h AS nt, max(idx) OVER (PARTITION BY off.route_id) AS last FROM off JOIN hw ON hw.route_id = off.route_id)"]
     prev = start
     for n in range(k + 1):
-        out.append(f"p{n} AS (SELECT q.req_id, v.route_id, v.idx, q.t FROM {prev} q JOIN {via} v ON v.stop_id = q.stop_id)")
-        out.append(f"b{n} AS (SELECT p.req_id, p.route_id, p.idx, d.rank FROM p{n} p ASOF JOIN d ON p.route_id = d.route_id AND p.idx = d.idx AND d.dt >= p.t)")
-        out.append(f"a{n} AS (SELECT b.req_id, e.stop_id, min(e.arr) AS t FROM b{n} b JOIN ev e ON e.route_id = b.route_id AND e.rank = b.rank AND e.idx > b.idx GROUP BY ALL)")
+        out.append(f"b{n} AS MATERIALIZED (SELECT req_id, route_id, idx, rank, f, h FROM (SELECT q.req_id, v.*, greatest(0, (q.t - f - o + h - 1) // h) AS rank FROM {prev} q JOIN hb v ON v.stop_id = q.stop_id) WHERE rank < nt AND idx < last)")
+        out.append(f"a{n} AS MATERIALIZED (SELECT b.req_id, e.stop_id, min(b.f + b.h * b.rank + e.o) AS t FROM b{n} b JOIN hb e ON e.route_id = b.route_id AND e.idx > b.idx GROUP BY ALL)")
         known = f"SELECT req_id, nb.b AS stop_id, a.t + secs AS t FROM a{n} a JOIN nb ON nb.a = a.stop_id"
         if n:
             known += f" UNION ALL SELECT req_id, stop_id, t FROM l{n - 1}"
-        out.append(f"l{n} AS (SELECT req_id, stop_id, min(t)::INT AS t FROM ({known}) GROUP BY ALL)")
+        out.append(f"l{n} AS MATERIALIZED (SELECT req_id, stop_id, min(t)::INT AS t FROM ({known}) GROUP BY ALL)")
         prev = f"l{n}"
     return ",\n".join(out)
 

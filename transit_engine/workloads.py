@@ -192,9 +192,10 @@ def walk_closure_sweep(spark, sf_dir):
 # --- transfers ----------------------------------------------------------------------------------
 
 _XFER = """last AS (SELECT route_id, max(idx) AS last FROM rs GROUP BY route_id),
-pr AS (SELECT e.trip_id AS t1, e.route_id AS r1, e.rank AS k1, e.idx AS i1, v.route_id, v.idx, e.arr + secs AS tau FROM ev e JOIN nb ON nb.a = e.stop_id JOIN rs v ON v.stop_id = nb.b JOIN last ON last.route_id = v.route_id WHERE e.idx > 0 AND v.idx < last),
-dp AS (SELECT trip_id AS t2, route_id, idx, rank, arr AS dt FROM ev),
-tf AS (SELECT t1, i1, t2, p.idx AS i2, p.route_id AS route2, rank AS rank2, r1, k1 FROM pr p ASOF JOIN dp ON p.route_id = dp.route_id AND p.idx = dp.idx AND dp.dt >= p.tau)"""
+xn AS MATERIALIZED (SELECT e.trip_id AS t1, e.route_id AS r1, e.rank AS k1, e.idx AS i1, nb.b, e.arr + secs AS tau FROM ev e JOIN nb ON nb.a = e.stop_id WHERE e.idx > 0),
+vb AS MATERIALIZED (SELECT off.route_id, off.idx, stop_id, f + o AS f0, h FROM off JOIN hw ON hw.route_id = off.route_id JOIN last ON last.route_id = off.route_id WHERE idx < last),
+pr AS MATERIALIZED (SELECT t1, r1, k1, i1, route_id, idx, greatest(0, (tau - f0 + h - 1) // h) AS rk FROM xn JOIN vb ON vb.stop_id = xn.b),
+tf AS (SELECT t1, i1, tr.trip_id AS t2, p.idx AS i2, p.route_id AS route2, tr.rank AS rank2, r1, k1 FROM pr p JOIN tr ON tr.route_id = p.route_id AND tr.rank = p.rk)"""
 
 
 @query(oracles.with_(_XFER + "\nSELECT DISTINCT t1, i1::INT AS i1, t2, i2::INT AS i2 FROM tf WHERE NOT (route2 = r1 AND rank2 >= k1 AND i2 >= i1)"))
@@ -213,7 +214,7 @@ def transfers_weakly_reduced_count(spark, sf_dir):
     return transfers.sizes(raw, transfers.weakly_reduced(net, raw))
 
 
-@query(oracles.od("SELECT req_id, p0.route_id, p0.idx::INT AS idx, b0.rank::INT AS rank FROM p0 JOIN b0 USING (req_id, route_id, idx) JOIN (SELECT route_id, max(idx) AS last FROM rs GROUP BY route_id) m ON m.route_id = p0.route_id WHERE p0.idx < last", k=0))
+@query(oracles.od("SELECT req_id, route_id, idx::INT AS idx, rank::INT AS rank FROM b0", k=0))
 def earliest_board(spark, sf_dir):
     net = _r(spark, sf_dir).with_(headway=None, offsets=None)  # the as-of window, not arithmetic
     q = _requests(spark, sf_dir)
