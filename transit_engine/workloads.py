@@ -631,14 +631,14 @@ def board_events_per_hour(spark, sf_dir):
     return streaming.events_per_hour(derive.log_events(spark, sf_dir)).select("stop_id", F.unix_timestamp("window.start").alias("hour_start"), "n")
 
 
-@query(f"""WITH {_LOG}, w AS (SELECT stop_id, epoch(ts)::BIGINT // 1800 * 1800 - 1800 * unnest(generate_series(0, 3)) AS start FROM lg) SELECT stop_id, start AS win_start, count(*) AS n FROM w GROUP BY ALL""")
+@query(f"""WITH {_LOG}, w AS (SELECT stop_id, floor(epoch(ts))::BIGINT // 1800 * 1800 - 1800 * unnest(generate_series(0, 3)) AS start FROM lg) SELECT stop_id, start AS win_start, count(*) AS n FROM w GROUP BY ALL""")
 def load_sliding(spark, sf_dir):
     return streaming.sliding_load(derive.log_events(spark, sf_dir)).select("stop_id", F.unix_timestamp("window.start").alias("win_start"), "n")
 
 
 @query(f"""WITH {_LOG}, g AS (SELECT vehicle, ts, CASE WHEN epoch(ts) - epoch(lag(ts) OVER w) < 21600 THEN 0 ELSE 1 END AS new FROM lg WINDOW w AS (PARTITION BY vehicle ORDER BY ts, event_id)),
 s AS (SELECT vehicle, ts, sum(new) OVER (PARTITION BY vehicle ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM (SELECT vehicle, ts, new FROM g ORDER BY vehicle, ts))
-SELECT vehicle, count(*) AS n, epoch(min(ts))::BIGINT AS began FROM s GROUP BY vehicle, k""")
+SELECT vehicle, count(*) AS n, floor(epoch(min(ts)))::BIGINT AS began FROM s GROUP BY vehicle, k""")
 def trip_sessions(spark, sf_dir):
     return streaming.sessions(derive.log_events(spark, sf_dir)).select("vehicle", "n", F.unix_timestamp("session.start").alias("began"))
 
