@@ -6,11 +6,12 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise, table
+from .common import discard, materialise, table
 from .repeats import CONTEXT, KEY, Powers, Rolling, classed, context_rows, covered, keyed, mix, per_document, repeated_names, to_batch, window_repeats
 
 _FAR = 1 << 40
@@ -133,6 +134,24 @@ def _slices(batches, column: int, size: int = 4_000_000):
             lo = hi
 
 
+def packed(docs: DataFrame) -> DataFrame:
+    """(doc_id, k_id, k_text, z): whole texts, compressed before they are shuffled (null stays null)."""
+    d = keyed(docs).select("doc_id", *KEY, F.col("text").cast("binary").alias("z"))
+
+    def run(batches):
+        press = zstandard.ZstdCompressor(level=1)
+        for b in batches:
+            z = [None if t is None else press.compress(t) for t in b.column(3).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(z, pa.binary())], names=b.schema.names)
+
+    return d.mapInArrow(run, d.schema)
+
+
+def _unpacked(column) -> list[bytes | None]:
+    loose = zstandard.ZstdDecompressor()
+    return [None if z is None else loose.decompress(z) for z in column.to_pylist()]
+
+
 def word_contexts(docs: DataFrame, width: int, rounds: int) -> DataFrame:
     def run(batches):
         powers = Powers()
@@ -152,12 +171,12 @@ def single_windows(docs: DataFrame, reps: DataFrame, width: int) -> DataFrame:
     """(x, h, k_id, k_text, at) of every window of the contexts reps (x, k_id, k_text, at, n). A window
     that repeats within its document is given twice at most: first and last place."""
     per = reps.groupBy(*KEY).agg(F.collect_list(F.struct("x", "at", "n")).alias("spans"))
-    joined = keyed(docs).select(*KEY, F.col("text").cast("binary").alias("text")).join(per.hint("merge"), KEY).dropDuplicates(KEY)
+    joined = packed(docs).join(per.hint("merge"), KEY).dropDuplicates(KEY)
 
     def run(batches):
         powers = Powers()
-        for b in _slices(batches, 2):
-            _, begin, h = _hashes(b.column(2).to_pylist())
+        for b in _slices(batches, 2, 1_500_000):
+            _, begin, h = _hashes(_unpacked(b.column(2)))
             roll = Rolling(h, powers)
             spans = b.column(3)
             own = np.repeat(np.arange(b.num_rows), np.asarray(spans.value_lengths()))
@@ -170,7 +189,7 @@ def single_windows(docs: DataFrame, reps: DataFrame, width: int) -> DataFrame:
             take = pa.array(own[row])
             yield pa.RecordBatch.from_arrays([pa.array(x[row]), pa.array(roll.of(start, start + width).view(np.int64)), b.column(0).take(take), b.column(1).take(take), pa.array(pos.astype(np.int32))], names=["x", "h", *KEY, "at"])
 
-    return joined.select(*KEY, "text", "spans").mapInArrow(run, "x long, h long, k_id long, k_text long, at int")
+    return joined.select(*KEY, "z", "spans").mapInArrow(run, "x long, h long, k_id long, k_text long, at int")
 
 
 def drop_repeats(docs: DataFrame, width: int = 20, rounds: int = 3) -> DataFrame:
@@ -185,19 +204,19 @@ def drop_repeats(docs: DataFrame, width: int = 20, rounds: int = 3) -> DataFrame
     """
     contexts = materialise(word_contexts(docs, width, rounds))
     some = materialise(repeated_names(contexts))
+    discard(contexts)
     kinds = classed(some)
     twice = kinds.where("members > 1").select("x", "c", "first")
     later = some.join(twice.hint("merge"), ["x", "c"]).where(F.struct(*KEY, "at") != F.col("first")).select(*KEY, "at", "n")
     mixed = kinds.where("classes > 1 or x_multi").select("x", "first.k_id", "first.k_text", "first.at", "n")
     singles = window_repeats(single_windows(docs, materialise(mixed), width), keep_first=True)
     spans = materialise(per_document(later.union(singles)))
-    d = keyed(docs).select("doc_id", *KEY, F.col("text").cast("binary").alias("text"))
-    joined = d.join(spans.hint("merge"), KEY, "left").select("doc_id", "text", "spans")
+    joined = packed(docs).join(spans.hint("merge"), KEY, "left").select("doc_id", "z", "spans")
 
     def run(batches):
-        for b in _slices(batches, 1):
+        for b in _slices(batches, 1, 1_500_000):
             n, gone, kept = [], [], []
-            for t, s in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+            for t, s in zip(_unpacked(b.column(1)), b.column(2).to_pylist(), strict=True):
                 w = t.split() if t else []
                 off = covered(len(w), s, width) if s else None
                 n.append(len(w))
