@@ -38,11 +38,12 @@ def materialise(df: DataFrame) -> DataFrame:
     return made
 
 
-def discard(made: DataFrame) -> None:
-    """Deletes a table of materialise() that nothing will read again."""
-    spark = made.sparkSession
-    path = spark._jvm.org.apache.hadoop.fs.Path(made.scratch_path)
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+def discard(*made: DataFrame) -> None:
+    """Deletes tables of materialise() that nothing will read again."""
+    for one in made:
+        spark = one.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(one.scratch_path)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -205,12 +205,14 @@ def drop_repeats(docs: DataFrame, width: int = 20, rounds: int = 3) -> DataFrame
     contexts = materialise(word_contexts(docs, width, rounds))
     some = materialise(repeated_names(contexts))
     discard(contexts)
-    kinds = classed(some)
+    made = [some]
+    kinds = classed(some, made)
     twice = kinds.where("members > 1").select("x", "c", "first")
     later = some.join(twice.hint("merge"), ["x", "c"]).where(F.struct(*KEY, "at") != F.col("first")).select(*KEY, "at", "n")
-    mixed = kinds.where("classes > 1 or x_multi").select("x", "first.k_id", "first.k_text", "first.at", "n")
-    singles = window_repeats(single_windows(docs, materialise(mixed), width), keep_first=True)
+    mixed = materialise(kinds.where("classes > 1 or x_multi").select("x", "first.k_id", "first.k_text", "first.at", "n"))
+    singles = window_repeats(single_windows(docs, mixed, width), True, made)
     spans = materialise(per_document(later.union(singles)))
+    discard(mixed, *made)
     joined = packed(docs).join(spans.hint("merge"), KEY, "left").select("doc_id", "z", "spans")
 
     def run(batches):

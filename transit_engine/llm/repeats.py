@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import doc_key, materialise
+from .common import discard, doc_key, materialise
 
 CONTEXT = T.StructType([T.StructField(n, T.LongType()) for n in ("k_id", "k_text", "x", "c")] + [T.StructField("at", T.IntegerType()), T.StructField("n", T.IntegerType()), T.StructField("multi", T.BooleanType())])
 KEY = ["k_id", "k_text"]
@@ -130,14 +130,17 @@ def _slots(x: np.ndarray, bits: int) -> np.ndarray:
     return (x.view(np.uint64) >> np.uint64(64 - bits)).astype(np.int64)
 
 
-def classed(contexts: DataFrame) -> DataFrame:
+def classed(contexts: DataFrame, made: list[DataFrame]) -> DataFrame:
     """One row per (x, c): members, the first member (k_id, k_text, at), n, and for its name: classes
     and multi. Aggregations combine on the map side, so a context of a third of all documents is one
-    row per task."""
+    row per task. The result, a written table, is added to made, for its later deletion."""
     each = contexts.groupBy("x", "c").agg(F.count("*").alias("members"), F.min(F.struct(*KEY, "at")).alias("first"), F.first("n").alias("n"), F.max("multi").alias("multi"))
     each = materialise(each)
-    names = each.groupBy("x").agg(F.count("*").alias("classes"), F.max("multi").alias("x_multi"))
-    return materialise(each.drop("multi").join(materialise(names).hint("merge"), "x"))
+    names = materialise(each.groupBy("x").agg(F.count("*").alias("classes"), F.max("multi").alias("x_multi")))
+    kinds = materialise(each.drop("multi").join(names.hint("merge"), "x"))
+    discard(each, names)
+    made.append(kinds)
+    return kinds
 
 
 def per_document(spans: DataFrame) -> DataFrame:
@@ -155,12 +158,14 @@ def covered(size: int, spans, width: int) -> np.ndarray:
     return np.cumsum(edge[:-1]) > 0
 
 
-def window_repeats(windows: DataFrame, keep_first: bool) -> DataFrame:
+def window_repeats(windows: DataFrame, keep_first: bool, made: list[DataFrame]) -> DataFrame:
     """windows: (x, h, k_id, k_text, at), one row per window that is compared singly. Returns spans of
-    those whose (x, h) stands elsewhere too; with keep_first the first of each stays out."""
+    those whose (x, h) stands elsewhere too; with keep_first the first of each stays out. The written
+    tables that the result reads are added to made, for their later deletion."""
     w = materialise(windows)
-    met = w.groupBy("x", "h").agg(F.count("*").alias("members"), F.min(F.struct(*KEY, "at")).alias("first")).where("members > 1")
-    hit = w.join(materialise(met).hint("merge"), ["x", "h"])
+    met = materialise(w.groupBy("x", "h").agg(F.count("*").alias("members"), F.min(F.struct(*KEY, "at")).alias("first")).where("members > 1"))
+    made += [w, met]
+    hit = w.join(met.hint("merge"), ["x", "h"])
     if keep_first:
         hit = hit.where(F.struct(*KEY, "at") != F.col("first"))
     return hit.select(*KEY, "at", F.lit(1).alias("n"))

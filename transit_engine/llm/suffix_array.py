@@ -265,7 +265,8 @@ def drop_repeats(docs: DataFrame, width: int = 400, shard_passages: int = 4000)
     contexts = materialise(byte_contexts(docs, width))
     some = materialise(repeated_names(contexts))
     discard(contexts)
-    kinds = classed(some)
+    made = [some]
+    kinds = classed(some, made)
     twice = kinds.where("members > 1").select("x", "c")
     full = some.join(twice.hint("merge"), ["x", "c"]).select(*KEY, "at", "n")
     is_open = kinds.where("classes > 1 or x_multi").select("x", "first.k_id", "first.k_text", "first.at", "n", "classes")
@@ -273,8 +274,9 @@ def drop_repeats(docs: DataFrame, width: int = 400, shard_passages: int = 4000)
     spans = full.union(sorted_spans(docs, is_open.where(F.col("classes") <= shard_passages).drop("classes"), width))
     many = is_open.where(F.col("classes") > shard_passages).drop("classes")
     if many.limit(1).count():
-        spans = spans.union(window_repeats(hashed_windows(docs, many, width), keep_first=False).select(*KEY, "at", "n"))
+        spans = spans.union(window_repeats(hashed_windows(docs, many, width), False, made).select(*KEY, "at", "n"))
     spans = materialise(per_document(spans))
+    discard(is_open, *made)
     d = keyed(docs).select("doc_id", *KEY, F.col("text").cast("binary").alias("text"))
     joined = d.join(spans.hint("merge"), KEY, "left").select("doc_id", "text", "spans")
 
