@@ -147,7 +147,7 @@ def test_pruned_and_ranges_agree(spark, sf, net):
     admit = cells.trip_admission(labelled, cells.route_cells(nodes), fillin.as_trips(net, fill))
     assert metrics.diff(plain, journeys.pareto(segment_router.route(net, q, tr, K, admit=admit).labels)).count() == 0
     ok = cells.route_admission(labelled, cells.route_cells(nodes), fillin.as_trips(net, fill, "route"))
-    assert metrics.diff(plain, journeys.pareto(round_router.route(net, q, K, admitted=ok).labels)).count() == 0
+    assert metrics.diff(plain, journeys.pareto(round_router.route(net, q, K, admit=ok).labels)).count() == 0
 
 
 def test_profiles(spark, sf, net):

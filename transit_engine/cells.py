@@ -54,13 +54,20 @@ def trip_admission(labelled: DataFrame, routes: DataFrame, fillin: DataFrame):
     return admit
 
 
-def route_admission(labelled: DataFrame, routes: DataFrame, fillin_routes: DataFrame) -> DataFrame:
-    """(req_id, route_id) that the round router may use. Two branches with equality joins, so storage by
-    cell can be pruned."""
+def route_admission(labelled: DataFrame, routes: DataFrame, fillin_routes: DataFrame):
+    """As trip_admission for the round router: a row (req_id, route_id, ...) stays if its route is in the
+    fill-in or lies in the source's or target's cell. Only rows that occur are looked up, never all
+    pairs of requests and routes."""
     req = labelled.select("req_id", "src_cell", "tgt_cell")
-    own = req.select("req_id", F.explode(F.array_distinct(F.array("src_cell", "tgt_cell"))).alias("cell")).where("cell is not null").join(routes, "cell").select("req_id", "route_id")
-    everywhere = req.select("req_id").join(F.broadcast(fillin_routes.select("route_id").distinct()))
-    return own.union(everywhere).distinct()
+    flags = fillin_routes.select("route_id").distinct().withColumn("fill_", F.lit(True))
+    marks = routes.withColumnRenamed("cell", "cell_").join(flags, "route_id", "full")
+
+    def admit(rows: DataFrame) -> DataFrame:
+        c = rows.join(marks, "route_id", "left").join(req, "req_id")
+        ok = F.coalesce("fill_", F.lit(False)) | F.coalesce(F.col("cell_") == F.col("src_cell"), F.lit(False)) | F.coalesce(F.col("cell_") == F.col("tgt_cell"), F.lit(False))
+        return c.where(ok).select(*rows.columns)
+
+    return admit
 
 
 def advise(net: Network, cells_of_stops: DataFrame, most_cut: float = 0.1) -> bool:

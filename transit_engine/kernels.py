@@ -18,6 +18,8 @@ from .schema import Network
 _NEVER = np.int32(2**30)
 #: Events a broadcast timetable may have: 16 bytes each, so some 320 MB.
 MOST_EVENTS = 20_000_000
+#: Transfers that may be broadcast: 12 bytes each on the executors, more while the driver gathers them.
+MOST_TRANSFERS = 20_000_000
 
 
 class Arrays:
@@ -207,6 +209,50 @@ def segment_query(net: Arrays, transfers: dict, source: int, target: int, dep: i
     return out
 
 
+class Hops:
+    """Transfers by (route number, trip, index), in arrays: a start per stop event, then the trips met."""
+
+    def __init__(self, net: Arrays, transfers: DataFrame):
+        n = transfers.count()
+        if n > MOST_TRANSFERS:
+            raise ValueError(f"{n} transfers are too many to broadcast; use segment_router")
+        t = transfers.select("t1", "i1", "t2", "i2").toPandas()
+        place = {int(x): (r, k) for r, (_, ids) in enumerate(net.trips) for k, x in enumerate(ids)}
+        size = [len(stops) for stops, _ in net.routes]
+        self.base = np.concatenate([[0], np.cumsum([len(ids) * z for (_, ids), z in zip(net.trips, size, strict=True)])])
+        self.size = np.array(size)
+        r1, k1 = (np.array([place[x][i] for x in t["t1"].tolist()], np.int64) for i in (0, 1))
+        r2, k2 = (np.array([place[x][i] for x in t["t2"].tolist()], np.int32) for i in (0, 1))
+        at = self.base[r1] + k1 * self.size[r1] + t["i1"].to_numpy()
+        o = np.argsort(at, kind="stable")
+        self.start = np.searchsorted(at[o], np.arange(self.base[-1] + 1))
+        self.to = np.stack([r2[o], k2[o], t["i2"].to_numpy(np.int32)[o]], 1)
+
+    def get(self, key: tuple[int, int, int], _=()) -> list[list[int]]:
+        r, trip, i = key
+        e = self.base[r] + trip * self.size[r] + i
+        return self.to[self.start[e] : self.start[e + 1]].tolist()
+
+
+def segment_blocks(net: Network, transfers: DataFrame, requests: DataFrame, k: int = 4) -> DataFrame:
+    """(req_id, n, arr), improvements only: the trip-segment search request by request inside tasks,
+    against a timetable and transfers that are broadcast after a check of their sizes."""
+    a = Arrays(net)
+    sent = requests.sparkSession.sparkContext.broadcast((a, Hops(a, transfers), _walks_by_stop(a)))
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        a, hops, walks = sent.value
+        for b in batches:
+            rid, s, t, d = (np.asarray(c) for c in b.columns)
+            out = [segment_query(a, hops, int(x), int(y), int(z), k, walks) for x, y, z in zip(a.of(s), a.of(t), d, strict=True)]
+            out = np.array(out, np.int32).reshape(len(rid), k + 1).T
+            first = np.vstack([np.full((1, len(rid)), _NEVER, np.int32), out[:-1]])
+            n, at = np.nonzero(out < first)
+            yield pa.record_batch([pa.array(rid[at]), pa.array(n.astype(np.int32)), pa.array(out[n, at])], names=["req_id", "n", "arr"])
+
+    return requests.select("req_id", "source", "target", F.col("dep").cast("int").alias("dep")).mapInArrow(run, "req_id long, n int, arr int")
+
+
 def route_blocks(net: Network, requests: DataFrame, k: int = 4, block: int = 1024, arrays: Arrays | None = None) -> DataFrame:
     """(req_id, n, arr), improvements only, for requests of any number: tasks take blocks against the
     broadcast timetable; memory is stops times block."""

@@ -22,14 +22,14 @@ class Answer:
     work: list[dict]
 
 
-def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, admitted: DataFrame | None = None, to_all: bool = False, targets: DataFrame | None = None, count: bool = False) -> Answer:
+def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, admit=None, to_all: bool = False, targets: DataFrame | None = None, count: bool = False) -> Answer:
     """Earliest arrivals with at most 0..k transfers for a batch of requests (req_id, source, target,
     dep), all at once: the request is part of every key.
 
     A round boards the earliest trip of every route at every stop improved in the round before (as-of),
     rides to all later stops, keeps the least arrival per (request, stop), walks, and keeps what beats
-    the stop's best and, with prune, the target's label. admitted: (req_id, route_id) pairs that may
-    be used, the cell-pruned variant. to_all: labels (req_id, stop_id, n, arr) of all stops, or of
+    the stop's best and, with prune, the target's label. admit: a function that filters boardings
+    (req_id, route_id, ...), the cell-pruned variant. to_all: labels (req_id, stop_id, n, arr) of all stops, or of
     targets (req_id, target); then stops count only below the largest label once all targets have one.
     Each round's state is written, so lineage and failures stay short.
     """
@@ -44,8 +44,8 @@ def route(net: Network, requests: DataFrame, k: int = 4, prune: bool = True, adm
     label_now = None
     for n in range(k + 1):
         probes = state.where("marked").join(boards, "stop_id").select("req_id", "route_id", "idx", F.col("best").alias("tau"))
-        if admitted is not None:
-            probes = probes.join(admitted, ["req_id", "route_id"], "left_semi")
+        if admit:
+            probes = admit(probes)
         on = earliest(probes, net).select("req_id", "route_id", "idx", "rank")
         rode = times_at(on.join(rides, "route_id").where("off > idx"), net, "off", "arr")
         rode = rode.groupBy("req_id", F.col("alight").alias("a")).agg(F.min("arr").alias("arr"))

@@ -264,6 +264,11 @@ def od_pareto_blocks(spark, sf_dir):
     return kernels.route_blocks(_r(spark, sf_dir), _requests(spark, sf_dir), K)
 
 
+@query(oracles.od())
+def od_segment_kernel(spark, sf_dir):
+    return kernels.segment_blocks(_r(spark, sf_dir), _transfers(spark, sf_dir), _requests(spark, sf_dir), K)
+
+
 @query(oracles.od())
 def od_layered_graph(spark, sf_dir):
     return event_graph.route(_r(spark, sf_dir), _requests(spark, sf_dir), layers=K + 1)
@@ -499,6 +504,16 @@ def partition_multilevel(spark, sf_dir):
     return _parts(spark, sf_dir, 4)
 
 
+@query()
+def partition_first_choice(spark, sf_dir):
+    return _parts(spark, sf_dir, 4, "first_choice")
+
+
+@query()
+def partition_community(spark, sf_dir):
+    return _parts(spark, sf_dir, 4, "community")
+
+
 @query()
 def partitioner_ablation(spark, sf_dir):
     """Cut and balance of the ways to coarsen, and of natural cells."""
@@ -547,6 +562,38 @@ def fillin_pairs(spark, sf_dir):
     return fillin.compute(net, _transfers(spark, sf_dir), nested.flat_pairs(cells.cut_stops(_natural(spark, sf_dir)[1])), engine="pairs", lo=25200, hi=36000)
 
 
+@query()
+def fillin_events(spark, sf_dir):
+    """The fill-in as marked stop events."""
+    net = _r(spark, sf_dir)
+    return fillin.as_events(net, fillin.as_trips(net, _fillin(spark, sf_dir))).select("trip_id", "idx", "stop_id", "arr")
+
+
+@query()
+def fillin_overlay(spark, sf_dir):
+    """Trips and stop events of the sub-timetable of two cells and the fill-in, for every pair of cells."""
+    net, (nodes, _) = _r(spark, sf_dir), _natural(spark, sf_dir)
+    trips = net.trips.join(cells.route_cells(nodes), "route_id", "left").join(fillin.as_trips(net, _fillin(spark, sf_dir)).select("trip_id", F.lit(True).alias("fill")), "trip_id", "left")
+    size = net.events.groupBy("trip_id").agg(F.count("*").alias("k")).join(trips, "trip_id")
+    own = size.groupBy("cell").agg(F.count("*").alias("trips"), F.sum("k").alias("events"), F.count("fill").alias("fill_trips"), F.sum(F.when(F.col("fill"), F.col("k")).otherwise(0)).alias("fill_events")).where("cell is not null")
+    own = written(own)  # one row per cell
+    a, b = (own.select(*[F.col(c).alias(f"{c}_{s}") for c in own.columns]) for s in "ab")
+    fill = own.agg(F.sum("fill_trips").alias("ft"), F.sum("fill_events").alias("fe"))
+    both = a.join(b, F.col("cell_a") < F.col("cell_b")).join(F.broadcast(fill))
+    sums = [(F.col(f"{n}_a") + F.col(f"{n}_b") + F.col(f) - F.col(f"fill_{n}_a") - F.col(f"fill_{n}_b")).alias(n) for n, f in (("trips", "ft"), ("events", "fe"))]
+    return both.select("cell_a", "cell_b", *sums)
+
+
+@query()
+def nested_search_counts(spark, sf_dir):
+    """Ordered stop pairs that nested cells search, by rule."""
+    net, out = _r(spark, sf_dir), None
+    for mode in ("paper", "siblings", "strict"):
+        row = nested.pairs(net, _nested(spark, sf_dir), mode).agg(F.lit(mode).alias("rule"), F.count("*").alias("searches"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def fillin_share(spark, sf_dir):
     return metrics.fillin_stats(_r(spark, sf_dir), _fillin(spark, sf_dir), _natural(spark, sf_dir)[1])
@@ -572,7 +619,7 @@ def od_pruned_segments(spark, sf_dir):
 def od_pruned_rounds(spark, sf_dir):
     net, (nodes, stops) = _r(spark, sf_dir), _natural(spark, sf_dir)
     ok = cells.route_admission(_labelled(spark, sf_dir, stops), cells.route_cells(nodes), fillin.as_trips(net, _fillin(spark, sf_dir), "route"))
-    return journeys.pareto(_rounds(spark, sf_dir, admitted=written(ok)).labels)
+    return journeys.pareto(_rounds(spark, sf_dir, admit=ok).labels)
 
 
 @query(oracles.od())
@@ -588,7 +635,7 @@ def od_nested_rounds(spark, sf_dir):
     net, c = _r(spark, sf_dir), _nested(spark, sf_dir).select("node_id", "cell")
     stops = cells.stop_cells(net, c)
     ok = cells.route_admission(_labelled(spark, sf_dir, stops), cells.route_cells(c), fillin.as_trips(net, _nested_fillin(spark, sf_dir), "route"))
-    return journeys.pareto(_rounds(spark, sf_dir, admitted=written(ok)).labels)
+    return journeys.pareto(_rounds(spark, sf_dir, admit=ok).labels)
 
 
 @query()
