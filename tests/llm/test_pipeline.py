@@ -1,6 +1,6 @@
 import corpus_pipeline
 from test_operators import DOCS, awkward
-from transit_engine.llm import language_id, line_dedup
+from transit_engine.llm import language_id, line_dedup, simhash_vptree
 
 
 def test_stages(spark, sf):
@@ -30,3 +30,12 @@ def test_clean_documents_stay(spark, sf):
     kept = language_id.stage(spark, docs, sf)
     assert kept.count() == docs.where("text rlike '\\\\p{L}'").count()
     assert line_dedup.stage(spark, docs, sf).count() == docs.count()
+
+
+def test_shared_ids_drop_no_other_text(spark, sf):
+    words = lambda k: " ".join(f"w{k}x{i}" for i in range(60))
+    rows = [(None, words(1)), (None, words(2)), (None, words(1)), (3, words(2)), (4, words(3)), (4, words(4)), (5, words(5)), (6, words(5))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = simhash_vptree.stage(spark, docs, sf).collect()
+    assert sorted(r.text for r in kept) == sorted(words(k) for k in range(1, 6))
+    assert {r.doc_id for r in kept if r.text == words(5)} == {5}

@@ -8,7 +8,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, materialise, shield, table
+from .common import components, doc_key, materialise, shield, table
 
 _ALL = np.uint64(0x0101010101010101)
 
@@ -29,18 +29,20 @@ def text_fingerprint(words: list[bytes], size: int = 3) -> int:
     return int(np.packbits(2 * counts > len(h), bitorder="little").view(np.uint64)[0])
 
 
-def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
+def fingerprints(docs: DataFrame, size: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
     """(k_id long, doc_id, fp long): the fingerprint of every row's whole text, A-Z lower-cased,
-    split at white space. Null text has no words. A null id has the least k_id."""
-    kind = docs.schema["doc_id"].dataType.simpleString()
+    split at white space. Null text has no words. A null id has the least k_id. With carry (long
+    columns of docs, k_id among them) those and fp instead."""
+    keys = carry or ("doc_id",)
+    kinds = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keys)
 
     def run(batches):
         for b in batches:
-            out = [text_fingerprint(t.lower().split() if t else [], size) for t in b.column(1).cast(pa.binary()).to_pylist()]
-            yield pa.record_batch([b.column(0), pa.array(np.array(out, np.uint64).view(np.int64))], names=["doc_id", "fp"])
+            out = [text_fingerprint(t.lower().split() if t else [], size) for t in b.column(len(keys)).cast(pa.binary()).to_pylist()]
+            yield pa.record_batch([*b.columns[:-1], pa.array(np.array(out, np.uint64).view(np.int64))], names=[*keys, "fp"])
 
-    made = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp long")
-    return made.withColumn("k_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)).cast("long")))
+    made = docs.select(*keys, "text").mapInArrow(run, f"{kinds}, fp long")
+    return made if carry else made.withColumn("k_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)).cast("long")))
 
 
 # --- the tree -----------------------------------------------------------------------------------
@@ -170,9 +172,18 @@ def op8_simhash_vptree(spark, sf_dir: str) -> DataFrame:
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates the document with the least id stays."""
-    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)).cast("long"))
-    stays = near_duplicates(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(key.alias("k_id_")).distinct()
-    # rows that repeat an id: the last step leaves one, on the partitioning that the join has
-    d, back = shield(docs, {"k_id_"})
-    return back(d.withColumn("k_id_", key).join(stays, "k_id_", "left_semi").dropDuplicates(["k_id_"]))
+    """Of each group of near-duplicates the document with the least id stays.
+
+    A document is its id and its text (doc_key): fingerprints are linked, never ids, so rows that share
+    a null or repeated id only go where their own fingerprints are linked."""
+    k_id, k_text = doc_key(docs)
+    keyed = docs.select("doc_id", "text", k_id, k_text)
+    prints = materialise(fingerprints(keyed, carry=("k_id", "k_text")))
+    points = materialise(prints.select("fp", F.col("fp").alias("node")).distinct())
+    of_fp = points.join(linked_groups(points), "node", "left").select("fp", F.coalesce("component", "node").alias("group"))
+    stays = prints.join(of_fp.hint("merge"), "fp").groupBy("group").agg(F.min(F.struct("k_id", "k_text")).alias("m"))
+    stays = stays.select(F.col("m.k_id").alias("k_id_"), F.col("m.k_text").alias("k_text_"))
+    # repeats of one document: the last step leaves one, on the partitioning that the join has
+    d, back = shield(docs, {"k_id_", "k_text_"})
+    d = d.withColumns({"k_id_": k_id, "k_text_": k_text})
+    return back(d.join(stays, ["k_id_", "k_text_"], "left_semi").dropDuplicates(["k_id_", "k_text_"]))
