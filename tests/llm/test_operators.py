@@ -359,3 +359,22 @@ def test_null_ids(spark):
     d = spark.createDataFrame([(None, "a b c d"), (None, None), (1, "a b c d"), (2, "x y z w")], "doc_id long, text string")
     for f in (suffix_array.drop_repeats, recompression.drop_repeats, simhash_vptree.near_duplicates, line_dedup.drop_common_lines):
         assert f(d).count() == 4
+
+
+def test_passes_follow_demand(spark, sf):
+    text = " ".join("w" for _ in range(20))
+    rows = [(600 * k + i, text, f"s{k}") for k in range(3) for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = curriculum_mix.passes(docs).collect()
+    assert sum(r.taken for r in got) == sum(r.taken for r in curriculum_mix.curriculum(docs).collect())
+    for k, slope in enumerate(curriculum_mix.SLOPES):
+        mine = [r for r in got if r.source == f"s{k}"]
+        total = sum(r.taken for r in mine)
+        for t in (0.1, 0.25, 0.5, 0.75, 0.9, 1.0):
+            asked = (1 - slope) * t + slope * t * t
+            assert abs(sum(r.taken for r in mine if r.position <= t) / total - asked) < 0.01
+        again = [r.position for r in mine if r["pass"] == 2]
+        assert not again or min(again) >= max(r.position for r in mine if r["pass"] == 1)
+    null = spark.createDataFrame([(None, "a b c", "x"), (None, "d e f g h i", "x"), (7, "j k", "y")], docs.schema)
+    out = curriculum_mix.stage(spark, null, sf).collect()
+    assert len(out) == curriculum_mix.passes(null).count() and len({r.text for r in out}) == 3

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, materialise, shield, table
+from .common import WORD, doc_key, materialise, shield, table
 
 #: Weights by the rank of a source, repeating (fixed values of the contract).
 WEIGHTS = (5, 2, 1)
@@ -43,7 +43,7 @@ def source_targets(sizes: DataFrame, share: float = 1.5, cap: float = 2.0, weigh
     return s.select("skey", "source_size", target.alias("target"), "slope")
 
 
-def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WEIGHTS, slopes=SLOPES, bin_digits: int = 3) -> DataFrame:
+def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WEIGHTS, slopes=SLOPES, bin_digits: int = 3, with_start: bool = False) -> DataFrame:
     """One row per row of docs: doc_id, source, size, source_size, target, taken, position.
 
     Within a source, documents stand in the order of md5(doc_id). The source gives whole passes over
@@ -51,8 +51,9 @@ def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WE
     taken words are its target rounded down. The running sum over that order is taken in two steps,
     so that a source with a third of all rows is spread: words per (source, leading md5 digits) are
     summed first and accumulated over the digits; only rows of one digit bin meet in one window.
-    position is the training time in 0..1 at which the source's integrated weight schedule has asked
-    for the words that stand before the document: the inverse of the cumulative demand, closed form.
+    position is the training time in 0..1 of the document's first pass: where the source's integrated
+    weight schedule, scaled to the words that it gives, has asked for the words up to the middle of
+    what is taken (closed form); passes() gives the times of all passes.
     Defined cases: null text has size 0; null source is a source of its own, last; a null id is
     ordered as the empty text; size 0 takes 0; rows that repeat an id are separate documents and
     stand in the order of their sizes; an empty table gives no rows. Other columns are ignored.
@@ -63,6 +64,7 @@ def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WE
             F.when(F.col("source").isNull(), F.lit("n")).otherwise(F.concat(F.lit("m"), "source")).alias("skey"),
             F.coalesce(F.regexp_count("text", F.lit(WORD)).cast("long"), F.lit(0).cast("long")).alias("size"),
             F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")).alias("h"),
+            doc_key(docs)[1],
         )
     ).withColumn("bin", F.substring("h", 1, bin_digits))
     targets = materialise(source_targets(sizes, share, cap, weights, slopes))
@@ -71,17 +73,34 @@ def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WE
     bins = bins.withColumn("bin_start", F.coalesce(F.sum("bin_size").over(before), F.lit(0).cast("long")))
     # one row per source and bin: the plan of every bin, joined to its documents
     bins = materialise(bins.join(targets, "skey").drop("bin_size"))
-    inside = Window.partitionBy("skey", "bin").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("skey", "bin").orderBy("h", "doc_id", "size", "k_text").rowsBetween(Window.unboundedPreceding, -1)
     d = sizes.join(bins, ["skey", "bin"]).withColumn("start", F.col("bin_start") + F.coalesce(F.sum("size").over(inside), F.lit(0).cast("long")))
     goal = F.floor(F.col("target")).cast("long")
-    passes = F.when(F.col("source_size") > 0, F.floor(goal / F.col("source_size"))).otherwise(0).cast("long")
-    rest = goal - passes * F.col("source_size")
+    full = F.when(F.col("source_size") > 0, F.floor(goal / F.col("source_size"))).otherwise(0).cast("long")
+    rest = goal - full * F.col("source_size")
     extra = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), rest - F.col("start")))
-    demand = F.when(F.col("source_size") > 0, (F.col("start") + F.col("size") / 2) / F.col("source_size")).otherwise(0.0)
+    d = d.withColumn("taken", full * F.col("size") + extra).withColumn("position", _when(F.lit(0)))
+    return d.select("doc_id", "source", "size", "source_size", "target", "taken", "position", *(["start", "slope", "k_text"] if with_start else []))
+
+
+def _when(before) -> Column:
+    """Training time of the pass that before whole passes precede: (before * source_size + start + half
+    of what the pass takes) of the target's words have been given, and the demand is inverted there."""
+    now = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), F.col("taken") - before * F.col("size")))
+    goal = F.greatest(F.floor("target"), F.lit(1))
+    u = F.least(F.lit(1.0), (before * F.col("source_size") + F.col("start") + now / 2) / goal)
     s = F.col("slope")
-    when = F.when(s == 0, F.col("u")).otherwise(((s - 1) + F.sqrt((1 - s) * (1 - s) + 4 * s * F.col("u"))) / (2 * s))
-    d = d.withColumns({"taken": passes * F.col("size") + extra, "u": demand}).withColumn("position", when)
-    return d.select("doc_id", "source", "size", "source_size", "target", "taken", "position")
+    return F.when(s == 0, u).otherwise(((s - 1) + F.sqrt((1 - s) * (1 - s) + 4 * s * u)) / (2 * s))
+
+
+def passes(docs: DataFrame, **more) -> DataFrame:
+    """One row per pass that takes words of a document: doc_id, k_text and source (which tell rows of one id
+    apart), pass (from 1), size, taken (of this pass), position. The mix in training order is this sorted by position."""
+    d = curriculum(docs, with_start=True, **more).where("taken > 0")
+    d = d.withColumn("pass", F.explode(F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("size")).cast("int"))))
+    before = F.col("pass") - 1
+    now = F.least(F.col("size"), F.col("taken") - before * F.col("size"))
+    return d.select("doc_id", "k_text", "source", "pass", "size", now.alias("taken"), _when(before).alias("position"))
 
 
 def op10_curriculum_mix(spark, sf_dir: str) -> DataFrame:
@@ -91,15 +110,14 @@ def op10_curriculum_mix(spark, sf_dir: str) -> DataFrame:
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of the mix in training order: one that is taken twice comes twice, one that is not taken goes."""
-    plan = curriculum(docs).where("taken > 0").select(
-        F.col("doc_id").alias("mixed_id"), F.ceil(F.col("taken") / F.col("size")).cast("int").alias("passes_"), F.col("position").alias("position_")
-    ).dropDuplicates(["mixed_id"])
-    d, back = shield(docs, {"mixed_id", "passes_", "position_", "pass_"})
-    d = d.join(plan, F.col("doc_id").eqNullSafe(F.col("mixed_id")))
-    d = d.withColumn("pass_", F.explode(F.sequence(F.lit(1), F.col("passes_"))))
-    d = d.repartitionByRange("pass_", "position_", "doc_id").sortWithinPartitions("pass_", "position_", "doc_id")
-    return back(d)
+    """The mix in training order: a document that is taken twice comes twice, each pass at its own time; one
+    that is not taken goes."""
+    d, back = shield(docs, {"k_text_", "mixed_id", "mixed_source", "pass", "position"})
+    plan = passes(docs).select(F.col("doc_id").alias("mixed_id"), F.col("k_text").alias("k_text_"), F.col("source").alias("mixed_source"), "pass", "position")
+    plan = plan.dropDuplicates(["mixed_id", "k_text_", "mixed_source", "pass"])
+    same = F.col("doc_id").eqNullSafe(F.col("mixed_id")) & F.col("source").eqNullSafe(F.col("mixed_source"))
+    d = d.join(plan, same & (doc_key(d)[1] == F.col("k_text_")))
+    return back(d.repartitionByRange("position", "doc_id", "pass").sortWithinPartitions("position", "doc_id", "pass"))
 
 
 ORACLE = r"""
