@@ -378,3 +378,25 @@ def test_passes_follow_demand(spark, sf):
     null = spark.createDataFrame([(None, "a b c", "x"), (None, "d e f g h i", "x"), (7, "j k", "y")], docs.schema)
     out = curriculum_mix.stage(spark, null, sf).collect()
     assert len(out) == curriculum_mix.passes(null).count() and len({r.text for r in out}) == 3
+
+
+def test_n_best_ids_have_their_scores(docs, rows):
+    lat = piece_lattice.Lattice(*piece_lattice.load_vocabulary())
+    got, several = table(piece_lattice.encode(docs, n=4)), 0
+    for i, t, *_ in rows:
+        if t is None:
+            assert got[i].n_best_ids is None
+            continue
+        ways = got[i].n_best_ids
+        assert ways[0] == got[i].ids and len(ways) == len(got[i].n_best) == len({tuple(w) for w in ways})
+        for score, ids in zip(got[i].n_best, ways, strict=True):
+            assert lat.decode(ids) == t
+            if t.isascii():
+                assert abs(sum(float(lat.scores[p]) for p in ids) - score) < 1e-6 or any(lat.byte0 <= p < lat.byte0 + 256 for p in ids)
+        several += len(ways) > 1
+    assert several > 20
+    for unit in ("▁hello", "▁idiotic"):
+        seen = piece_lattice.Segmented(lat, 3)
+        (_, scores, ways, _), = piece_lattice.encode_batch(lat, [unit[1:]], 3, seen)
+        full = lat.n_best(unit, 3)
+        assert np.allclose(scores, [s for s, _ in full]) and sorted(w.tolist() for w in ways) == sorted(w for _, w in full)

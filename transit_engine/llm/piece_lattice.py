@@ -193,9 +193,13 @@ class Lattice:
         ahead = [0.0] + [-np.inf] * size
         for j in range(1, size + 1):
             ahead[j] = max(ahead[i] + s for i, _, s in into[j])
-        out, queue, serial = [], [(-ahead[size], 0, size, 0.0, None)], 0
+        # only a node's n best ways to the end can matter, which bounds the search where many scores tie
+        out, queue, serial, seen = [], [(-ahead[size], 0, size, 0.0, None)], 0, [0] * (size + 1)
         while queue and len(out) < n:
             total, _, at, done, path = heapq.heappop(queue)
+            seen[at] += 1
+            if seen[at] > n:
+                continue
             if at == 0:
                 ids = []
                 while path:
@@ -233,7 +237,7 @@ class Segmented:
         self.code: dict[str, int] = {}
         self.ids, self.count, self.start = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.best, self.second, self.exact = np.zeros(0), np.zeros(0), np.zeros(0, bool)
-        self.losses: dict[str, list[float]] = {}
+        self.losses: dict[str, list[tuple[float, np.ndarray | None]]] = {}
 
     def codes(self, split: list[list[str]]) -> np.ndarray:
         if len(self.code) > self.most:
@@ -259,17 +263,21 @@ class Segmented:
     def _plain(units: list[str]) -> str:
         return "".join(units).replace(_SPACE, " ").replace(_OWN, _SPACE)
 
-    def alternatives(self, unit: str) -> list[float]:
-        """What the unit's n best segmentations lose against its best."""
+    def alternatives(self, unit: str) -> list[tuple[float, np.ndarray | None]]:
+        """(loss against the unit's best, ids) of its n best segmentations; the first is the one that ids
+        has (None), also where others score the same."""
         if unit not in self.losses:
+            c = self.code[unit]
+            own = self.ids[self.start[c] : self.start[c] + self.count[c]].tolist()
             found = self.lattice.n_best(unit, self.n)
-            self.losses[unit] = [found[0][0] - s for s, _ in found]
+            rest = [(found[0][0] - s, np.array(ids, np.int32)) for s, ids in found if ids != own]
+            self.losses[unit] = [(0.0, None), *rest[: self.n - 1]]
         return self.losses[unit]
 
 
 def encode_batch(lattice: Lattice, texts: list[str | None], n: int = 3, seen: Segmented | None = None):
-    """For every text (ids as int32 array, scores of its n best segmentations, best first; whether
-    decoding the ids gives the text).
+    """For every text (ids as int32 array, scores of its n best segmentations, best first; the ids of
+    each; whether decoding the ids gives the text).
 
     Only the n - 1 units whose second segmentation loses least can differ among the n best, so the
     A* search runs on those alone. Decoding joins what units decode to, so each new unit is checked."""
@@ -281,23 +289,35 @@ def encode_batch(lattice: Lattice, texts: list[str | None], n: int = 3, seen: Se
         c = flat[at : at + len(us)]
         at += len(us)
         if not len(c):
-            out.append((np.zeros(0, np.int32), [0.0], True))
+            none = np.zeros(0, np.int32)
+            out.append((none, [0.0], [none], True))
             continue
         reps = seen.count[c]
         base = np.repeat(seen.start[c] - (np.cumsum(reps) - reps), reps)
         got = seen.ids[base + np.arange(len(base))]
-        total, losses = float(seen.best[c].sum()), [0.0]
+        # each alternative: its loss, and (unit, ids) of what it replaces
+        total, ways = float(seen.best[c].sum()), [(0.0, ())]
         if n > 1:
             k, second = min(n - 1, len(c)), seen.second[c]
             few = np.argpartition(second, k - 1)[:k]
-            for w in (us[i] for i in few.tolist() if np.isfinite(second[i])):
-                losses = sorted(a + b for a in losses for b in seen.alternatives(w))[:n]
-        out.append((got, [total - x for x in losses], bool(seen.exact[c].all())))
+            for i in (i for i in few.tolist() if np.isfinite(second[i])):
+                more = seen.alternatives(us[i])
+                ways = sorted(((a + b, r if x is None else (*r, (i, x))) for a, r in ways for b, x in more), key=lambda w: w[0])[:n]
+        ends = np.cumsum(reps)
+        every = []
+        for _, swaps in ways:
+            parts, lo = [], 0
+            for i, x in sorted(swaps, key=lambda w: w[0]):
+                parts += [got[lo : ends[i] - reps[i]], x]
+                lo = ends[i]
+            every.append(np.concatenate([*parts, got[lo:]]) if swaps else got)
+        out.append((got, [total - a for a, _ in ways], every, bool(seen.exact[c].all())))
     return out
 
 
 def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_000) -> DataFrame:
-    """docs with ids (array of int), n_best (scores, best first) and round_trip (decoding gives the text).
+    """docs with ids (array of int), n_best (scores, best first), n_best_ids (the ids of each, so its first
+    entry is ids) and round_trip (decoding gives the text).
 
     Whole texts; space and line feed end units. A character that is no piece is spelled in bytes, so
     decoding gives every text back exactly, also one that holds U+2581. Defined cases: null text gives
@@ -305,7 +325,7 @@ def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_0
     are cut at chars characters, which bounds memory (a single longer text is one batch).
     The vocabulary file is read on the driver and broadcast: its size is the file's, not the data's.
     """
-    own = ("ids", "n_best", "round_trip")
+    own = ("ids", "n_best", "n_best_ids", "round_trip")
     docs = docs.select(*[c for c in docs.columns if c not in own])
     at = docs.columns.index("text")
     sent = docs.sparkSession.sparkContext.broadcast(load_vocabulary(model))
@@ -326,19 +346,24 @@ def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_0
                 mask = pa.array([t is None for t in texts])
                 ids = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x for x, *_ in made])), mask=mask)
                 back = [None if t is None else ok for t, (*_, ok) in zip(texts, made, strict=True)]
-                cols = [*b.columns, ids, pa.array([s for _, s, _ in made], pa.list_(pa.float64())), pa.array(back, pa.bool_())]
+                flat = [x for _, _, xs, _ in made for x in xs]
+                inner = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in flat])]).astype(np.int32)), pa.array(np.concatenate(flat)))
+                outer = np.concatenate([[0], np.cumsum([len(xs) for _, _, xs, _ in made])]).astype(np.int32)
+                every = pa.ListArray.from_arrays(pa.array(outer), inner, mask=mask)
+                cols = [*b.columns, ids, pa.array([s for _, s, *_ in made], pa.list_(pa.float64())), every, pa.array(back, pa.bool_())]
                 yield pa.RecordBatch.from_arrays(cols, names=[*b.schema.names, *own])
 
-    more = [T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("n_best", T.ArrayType(T.DoubleType())), T.StructField("round_trip", T.BooleanType())]
+    more = [T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("n_best", T.ArrayType(T.DoubleType())), T.StructField("n_best_ids", T.ArrayType(T.ArrayType(T.IntegerType()))), T.StructField("round_trip", T.BooleanType())]
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *more]))
 
 
 def op5_piece_lattice(spark, sf_dir: str) -> DataFrame:
     d = encode(table(spark, sf_dir, "documents").select("doc_id", "text"))
     digest = F.sha2(F.array_join("ids", " ").cast("binary"), 256)
-    return d.select("doc_id", F.coalesce(F.size("ids"), F.lit(0)).cast("long").alias("n_pieces"), "n_best", digest.alias("ids_sha256"), "round_trip")
+    every = F.sha2(F.array_join(F.transform("n_best_ids", lambda x: F.array_join(x, " ")), "\n").cast("binary"), 256)
+    return d.select("doc_id", F.coalesce(F.size("ids"), F.lit(0)).cast("long").alias("n_pieces"), "n_best", digest.alias("ids_sha256"), every.alias("n_best_sha256"), "round_trip")
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document with its ids and the scores of its best segmentations."""
+    """Every document with its ids, and its best segmentations with their scores."""
     return encode(docs).drop("text")
