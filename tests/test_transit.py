@@ -245,3 +245,15 @@ def test_feed_round_trip(spark, tmp_path, toy):
     net = sources.read_feed(spark, str(tmp_path), "csv")
     q = spark.createDataFrame([(1, 0, 100, 28800)], REQUESTS)
     assert rows(journeys.pareto(round_router.route(net, q, K).labels), "n", "arr") == [(0, 32400), (2, 31800)]
+
+
+def test_all_orders_are_searched(spark, sf):
+    from transit_engine import workloads
+
+    asked = workloads.QUERIES["od_requests_all"](spark, sf)
+    net, n = derive.regional(spark, sf), spark.read.parquet(f"{sf}/orders.parquet").count()
+    assert 200 < asked.count() <= n and asked.agg({"req_id": "max"}).first()[0] > 200
+    got = workloads.QUERIES["od_pareto_blocks_all"](spark, sf).groupBy("req_id").agg({"arr": "min"}).collect()
+    best = {r.req_id: r[1] for r in kernels.route_blocks(net, asked, 9).groupBy("req_id").agg({"arr": "min"}).collect()}
+    graph = {r.req_id: r.arr for r in workloads.QUERIES["od_event_graph_all"](spark, sf).collect()}
+    assert best == graph and len(got) > 200 and all(r[1] >= graph[r.req_id] for r in got)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from . import cells, derive, event_graph, fillin, footpaths, hypergraph, journeys, kernels, metrics, nested, oracles, partition, range_router, round_router, segment_router, streaming, timetable, transfers
 from .storage import once, written
 
-#: Requests of the correctness workload, and of the timed one.
+#: Requests of the workload that SQL texts repeat, and of the timed one; the *_all queries take every order.
 FEW, MANY = 200, 10_000
 K = 4
 RANGE = (25200, 28800)
@@ -40,6 +40,11 @@ def _requests(spark, d, net=None) -> DataFrame:
     return once(spark, f"requests {net.name} {d}", lambda: written(derive.requests(spark, d, net, FEW)))
 
 
+def _all_requests(spark, d, net=None) -> DataFrame:
+    net = net or _r(spark, d)
+    return once(spark, f"all requests {net.name} {d}", lambda: written(derive.requests(spark, d, net)))
+
+
 def _transfers(spark, d, net=None, reduce=True):
     net = net or _r(spark, d)
     return transfers.of(net, f"{net.name} {d}", reduce)
@@ -310,6 +315,48 @@ def router_differences(spark, sf_dir):
     return metrics.diff(journeys.pareto(_segments(spark, sf_dir, prune=True).labels), journeys.pareto(_rounds(spark, sf_dir, prune=False).labels))
 
 
+# Over all orders, without SQL texts, which are too slow there.
+
+@query()
+def od_requests_all(spark, sf_dir):
+    return _all_requests(spark, sf_dir)
+
+
+@query()
+def od_pareto_blocks_all(spark, sf_dir):
+    return kernels.route_blocks(_r(spark, sf_dir), _all_requests(spark, sf_dir), K)
+
+
+@query()
+def od_segment_kernel_all(spark, sf_dir):
+    return kernels.segment_blocks(_r(spark, sf_dir), _transfers(spark, sf_dir), _all_requests(spark, sf_dir), K)
+
+
+@query()
+def od_pareto_rounds_all(spark, sf_dir):
+    return journeys.pareto(round_router.route(_r(spark, sf_dir), _all_requests(spark, sf_dir), K).labels)
+
+
+@query()
+def od_pareto_segments_all(spark, sf_dir):
+    return journeys.pareto(segment_router.route(_r(spark, sf_dir), _all_requests(spark, sf_dir), _transfers(spark, sf_dir), K).labels)
+
+
+@query()
+def od_event_graph_all(spark, sf_dir):
+    return event_graph.route(_r(spark, sf_dir), _all_requests(spark, sf_dir))
+
+
+@query()
+def od_connection_sweep_all(spark, sf_dir):
+    return event_graph.sweep(_r(spark, sf_dir), _all_requests(spark, sf_dir))
+
+
+@query()
+def request_cells_all(spark, sf_dir):
+    return cells.label_requests(_all_requests(spark, sf_dir), _natural(spark, sf_dir)[1]).select("req_id", "src_cell", "tgt_cell")
+
+
 # --- ranges -------------------------------------------------------------------------------------
 
 def _few(spark, d, sources=5, targets=8):
