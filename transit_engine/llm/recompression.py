@@ -154,14 +154,13 @@ def _unpacked(column) -> list[bytes | None]:
 
 def word_contexts(docs: DataFrame, width: int, rounds: int) -> DataFrame:
     def run(batches):
-        powers = Powers()
         for b in _slices(batches, 2):
             _, begin, h = _hashes(b.column(2).to_pylist())
             if not len(h):
                 continue
             doc = np.repeat(np.arange(b.num_rows), np.diff(begin))
             best, flagged = window_names(parse(h, doc, rounds), len(h), width)
-            rows = context_rows(best, begin, np.maximum(np.diff(begin) - width + 1, 0), flagged, width, Rolling(h, powers))
+            rows = context_rows(best, begin, np.maximum(np.diff(begin) - width + 1, 0), flagged, width, memoryview(h).cast("B"), 8)
             yield to_batch((b.column(0), b.column(1)), *rows)
 
     return keyed(docs).select(*KEY, F.col("text").cast("binary").alias("text")).mapInArrow(run, CONTEXT)

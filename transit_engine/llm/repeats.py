@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -60,14 +61,15 @@ class Rolling:
         return mix((self.sums[end] - self.sums[start]) * self.down[start] + (end - start).astype(np.uint64))
 
 
-def context_rows(key: np.ndarray, begin: np.ndarray, first: np.ndarray, flagged: np.ndarray, width: int, rolling: Rolling):
+def context_rows(key: np.ndarray, begin: np.ndarray, first: np.ndarray, flagged: np.ndarray, width: int, whole: memoryview, size: int):
     """Contexts from the name of the window at every position.
 
     key: name by position; begin: position of each document, and the end; first: for each document the
-    number of its windows; flagged: names that may stand twice in one context.
+    number of its windows; flagged: names that may stand twice in one context; whole: the content, size
+    bytes a position, whose hash names what a context holds.
     Returns (document, position in it, windows, x, c, multi)."""
-    size = np.diff(begin)
-    doc = np.repeat(np.arange(len(size)), size)
+    per = np.diff(begin)
+    doc = np.repeat(np.arange(len(per)), per)
     off = np.arange(len(key)) - begin[:-1][doc]
     w = np.flatnonzero(off < first[doc])
     if not len(w):
@@ -79,7 +81,9 @@ def context_rows(key: np.ndarray, begin: np.ndarray, first: np.ndarray, flagged:
     s = np.flatnonzero(new)
     n = np.diff(np.append(s, len(w)))
     at = w[s]
-    return d[s], off[at], n, mix(k[s]), rolling.of(at, at + n + width - 1), np.isin(k[s], flagged) if len(flagged) else np.zeros(len(s), bool)
+    digest = xxhash.xxh3_64_intdigest
+    c = np.fromiter((digest(whole[a:b]) for a, b in zip((at * size).tolist(), ((at + n + width - 1) * size).tolist(), strict=True)), np.uint64, len(at))
+    return d[s], off[at], n, mix(k[s]), c, np.isin(k[s], flagged) if len(flagged) else np.zeros(len(s), bool)
 
 
 def to_batch(keys, d, at, n, x, c, multi) -> pa.RecordBatch:

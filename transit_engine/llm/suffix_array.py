@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import discard, materialise, table
-from .repeats import CONTEXT, KEY, Powers, Rolling, classed, context_rows, covered, keyed, mix, per_document, repeated_names, to_batch, window_repeats
+from .repeats import CONTEXT, KEY, Powers, Rolling, classed, context_rows, covered, keyed, mix, per_document, repeated_names, to_batch
 
 _U = np.uint64
 _GRAM = 32
@@ -18,17 +18,66 @@ _GRAM = 32
 
 # --- sorting ------------------------------------------------------------------------------------
 
+_POWERS = Powers()
+_PACK = 7  # symbols of nine bits in a word
+
+
+def _packed(t: np.ndarray, left: np.ndarray) -> np.ndarray:
+    """For every place the next symbols as one number; what follows the end of a text counts as 0."""
+    wide = np.append(t, np.zeros(_PACK, t.dtype)).astype(_U)
+    word = np.zeros(len(t), _U)
+    for k in range(_PACK):
+        word = (word << _U(9)) | wide[k : k + len(t)]
+    short = np.minimum(left, _PACK)
+    return word & ~((_U(1) << (_U(9) * (_PACK - short).astype(_U))) - _U(1))
+
+
+def _rolling(t: np.ndarray) -> Rolling:
+    return Rolling(mix(np.arange(1, 258, dtype=_U))[t], _POWERS)
+
+
+def ordered(pos: np.ndarray, t: np.ndarray, stop: np.ndarray, depth: int) -> np.ndarray:
+    """The suffixes that start at pos in the order of their first depth symbols: sorted by a word of
+    symbols, then tied ones by the next word, and so on. Of suffixes whose first depth symbols (or all, if
+    fewer) have one hash a single one is sorted and the others stand with it; common prefixes are counted on the
+    symbols themselves, so the hash decides no more than who stands beside whom."""
+    left = stop - np.arange(len(t))
+    word = _packed(t, left)
+    h = _rolling(t).of(pos, np.minimum(pos + depth, stop[pos]))
+    alike = np.argsort(h)
+    other = np.append(True, h[alike][1:] != h[alike][:-1])
+    some = pos[alike[other]]
+    cur = some[np.argsort(word[some])]
+    group, act, at = np.zeros(len(cur), np.int64), np.arange(len(cur)), 0
+    while len(act):
+        p = cur[act]
+        key = np.where(at < left[p], word[np.minimum(p + at, len(t) - 1)], _U(0))
+        if at:
+            o = np.lexsort((key, group[act]))
+            cur[act], key = p[o], key[o]
+        g = group[act]
+        new = np.append(True, (g[1:] != g[:-1]) | (key[1:] != key[:-1]))
+        start = np.flatnonzero(new)
+        size = np.diff(np.append(start, len(act)))
+        group[act] = act[np.repeat(start, size)]
+        at += _PACK
+        # suffixes that have come to their ends together, or to depth, are equal
+        act = act[np.repeat(size > 1, size) & (key & _U(511) != 0)] if at < depth else act[:0]
+    place = np.empty(len(t), np.int32)
+    place[cur] = np.arange(len(cur), dtype=np.int32)
+    return pos[alike][np.argsort(place[some][np.cumsum(other) - 1], kind="stable")]
+
+
 def two_stage_suffixes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.ndarray]:
     """(suffix array, code points) of texts joined by separators below every byte, order decided by
     the first depth bytes at least (suffixes that agree in these stand together in some order).
 
-    First stage: only suffixes that are smaller than their successor are compared, in parts by their
-    two leading bytes. Second stage: one scan over the buckets of leading characters puts every other
-    suffix in place, behind the one that it precedes in the text."""
+    First stage: only suffixes that are smaller than their successor are compared. Second stage: one
+    scan over the buckets of leading characters puts every other suffix in place, behind the one that
+    it precedes in the text."""
     ends = np.cumsum([len(t) + 1 for t in texts])
     n = int(ends[-1])
-    blob = b"\0".join(texts) + b"\0"
-    t = np.frombuffer(blob, np.uint8).astype(np.int16) + 1
+    t = np.frombuffer(b"\0".join(texts) + b"\0", np.uint8).astype(np.int16) + 1
     t[ends - 1] = 0
     stop = np.repeat(ends - 1, np.diff(np.concatenate([[0], ends])))
     # a run of one character is smaller than its successor if what ends the run is larger
@@ -36,20 +85,7 @@ def two_stage_suffixes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.n
     after = np.append(t, 0)[turn + 1] > t[turn]
     after[-1] = True
     smaller = np.repeat(after, np.diff(np.concatenate([[-1], turn])))
-    pos = np.flatnonzero(smaller)
-    lead = t[pos].astype(np.int64) * 257 + np.append(t, 0)[pos + 1]
-    order = np.argsort(lead, kind="stable")
-    pos, lead = pos[order], lead[order]
-    stop_list = np.minimum(pos + depth, stop[pos]).tolist()
-    pos_list, done = pos.tolist(), []
-    cut = np.append(np.flatnonzero(np.append(True, lead[1:] != lead[:-1])), len(lead)).tolist()
-    for s, e in zip(cut[:-1], cut[1:], strict=True):
-        if e - s == 1:
-            done.append(pos_list[s])
-        else:
-            part = [blob[a:b] for a, b in zip(pos_list[s:e], stop_list[s:e], strict=True)]
-            done += [pos_list[s + k] for k in sorted(range(e - s), key=part.__getitem__)]
-    sorted_ = np.array(done, np.int64)
+    sorted_ = ordered(np.flatnonzero(smaller), t, stop, depth)
 
     per = np.bincount(t, minlength=258)
     begin = np.concatenate([[0], np.cumsum(per)])
@@ -80,32 +116,41 @@ def two_stage_suffixes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.n
     return sa, t
 
 
-def adjacent_prefixes(sa: np.ndarray, t: np.ndarray, most: int) -> np.ndarray:
-    """Common prefix of each listed suffix with the next one, counted to most at most; separators end
-    it. Eight characters are compared at a time while pairs still agree."""
+def adjacent_prefixes(sa: np.ndarray, t: np.ndarray, most: int, pair: np.ndarray | None = None) -> np.ndarray:
+    """Common prefix of each listed suffix (those at pair) with the next one, counted to most at most;
+    separators end it. Eight characters are compared at a time while pairs still agree."""
     raw = np.append(np.maximum(t - 1, 0).astype(np.uint8), np.zeros(most + 16, np.uint8))
     word = np.lib.stride_tricks.as_strided(raw, (len(raw) - 7, 8), (1, 1)).copy().view(np.uint64).ravel()
     sep = np.append(np.flatnonzero(t == 0), len(t))
-    room = sep[np.searchsorted(sep, sa)] - sa
-    out = np.zeros(max(0, len(sa) - 1), np.int64)
-    limit = np.minimum(np.minimum(room[:-1], room[1:]), most)
+    pair = np.arange(max(0, len(sa) - 1)) if pair is None else pair
+    one, two = sa[pair], sa[pair + 1]
+    out = np.zeros(len(pair), np.int64)
+    room = lambda at: sep[np.searchsorted(sep, at)] - at
+    limit = np.minimum(np.minimum(room(one), room(two)), most)
     live = np.arange(len(out))
     while len(live):
-        diff = word[sa[live] + out[live]] ^ word[sa[live + 1] + out[live]]
+        diff = word[one[live] + out[live]] ^ word[two[live] + out[live]]
         same = np.where(diff == 0, 8, (np.bitwise_count((diff & (~diff + _U(1))) - _U(1)) >> 3).astype(np.int64))
         out[live] += same
         live = live[(same == 8) & (out[live] < limit[live])]
     return np.minimum(out, limit)
 
 
-def repeated_in(texts: list[bytes], width: int) -> list[np.ndarray]:
-    """For every text the starts of its windows of width bytes that start elsewhere in texts too."""
+def repeated_in(texts: list[bytes], width: int, twin=None) -> list[np.ndarray]:
+    """For every text the starts of its windows of width bytes that start elsewhere in texts too. A
+    text marked in twin stands for several equal ones: beside each of its suffixes stands that of a
+    copy, and their common prefix is the whole suffix."""
     sa, t = two_stage_suffixes(texts, width)
     ends = np.cumsum([len(x) + 1 for x in texts])
-    stop = ends[np.searchsorted(ends, sa, side="right")] - 1
-    sa = sa[sa + width <= stop]
-    same = adjacent_prefixes(sa, t, width) >= width
-    hit = np.zeros(len(sa), bool)
+    own = np.searchsorted(ends, sa, side="right")
+    fits = sa + width < ends[own]
+    sa, own = sa[fits], own[fits]
+    # neighbours whose first width bytes differ in their hash can't agree in them; the rest is compared
+    h = _rolling(t).of(sa, sa + width)
+    pair = np.flatnonzero(h[1:] == h[:-1])
+    same = np.zeros(max(0, len(sa) - 1), bool)
+    same[pair] = adjacent_prefixes(sa, t, width, pair) >= width
+    hit = np.zeros(len(sa), bool) if twin is None else np.asarray(twin, bool)[own]
     hit[:-1] |= same
     hit[1:] |= same
     at = np.sort(sa[hit])
@@ -135,7 +180,7 @@ def sliding_least(h: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(right[:out], left[w - 1 : w - 1 + out])
 
 
-def _slices(batches, column: int, size: int = 1_000_000):
+def _slices(batches, column: int, size: int = 250_000):
     for whole in batches:
         got = np.cumsum(np.asarray(pa.compute.fill_null(pa.compute.binary_length(whole.column(column)), 0)))
         lo = 0
@@ -161,7 +206,8 @@ def byte_contexts(docs: DataFrame, width: int) -> DataFrame:
             names = sliding_least(g, width - gram + 1)
             first = np.maximum(np.diff(begin) - width + 1, 0)
             names = np.append(names, np.zeros(len(h) - len(names), _U))
-            yield to_batch((b.column(0), b.column(1)), *context_rows(names, begin, first, _often(g, names, begin, width), width, roll))
+            whole = memoryview(b"".join(t for t in b.column(2).to_pylist() if t))
+            yield to_batch((b.column(0), b.column(1)), *context_rows(names, begin, first, _often(g, names, begin, width), width, whole, 1))
 
     return keyed(docs).select(*KEY, F.col("text").cast("binary").alias("text")).mapInArrow(run, CONTEXT)
 
@@ -175,90 +221,95 @@ def _often(g: np.ndarray, names: np.ndarray, begin: np.ndarray, width: int) -> n
     return np.unique(v[1:][near])
 
 
-def _reps(docs: DataFrame, reps: DataFrame) -> DataFrame:
-    per = reps.groupBy(*KEY).agg(F.collect_list(F.struct("x", "at", "n")).alias("spans"))
-    d = keyed(docs).select(*KEY, F.col("text").cast("binary").alias("text"))
-    return d.join(per.hint("merge"), KEY).dropDuplicates(KEY).select(*KEY, "text", "spans")
+REPS = "x long, c long, off int, n int"
 
 
-def sorted_spans(docs: DataFrame, reps: DataFrame, width: int, shard_bytes: int = 1_000_000) -> DataFrame:
-    """Spans of repeated windows in the passages reps (x, k_id, k_text, at, n), by suffix arrays.
+def _passages(docs: DataFrame, reps: DataFrame) -> DataFrame:
+    """Each document that holds reps (x, c, twin, k_id, k_text, at, n), once, with their list."""
+    per = reps.groupBy(*KEY).agg(F.collect_list(F.struct("x", "c", "twin", "at", "n")).alias("spans"))
+    d = keyed(docs).select(*KEY, F.col("text").cast("binary").alias("text"))
+    return d.join(per.hint("merge"), KEY).dropDuplicates(KEY).select("text", "spans")
 
-    Passages of one name go to one shard, as only they can share a window; a shard of about
-    shard_bytes is sorted at once."""
+
+def sorted_spans(docs: DataFrame, reps: DataFrame, width: int, shard_bytes: int = 200_000) -> DataFrame:
+    """(x, c, off, n): spans of repeated windows in the passages reps, from where they begin, by suffix
+    arrays. Passages of one name go to one shard, as only they can share a window; a shard of about
+    shard_bytes is sorted at once. A passage with copies (twin) enters once, for all of them."""
 
     def cut(batches):
         for b in batches:
-            texts, spans = b.column(2).to_pylist(), b.column(3).to_pylist()
-            own, x, at, n, part = [], [], [], [], []
-            for i, (t, ss) in enumerate(zip(texts, spans, strict=True)):
-                for s in ss:
-                    own.append(i), x.append(s["x"]), at.append(s["at"]), n.append(s["n"]), part.append(t[s["at"] : s["at"] + s["n"] + width - 1])
-            take = pa.array(own, pa.int64())
-            yield pa.RecordBatch.from_arrays([b.column(0).take(take), b.column(1).take(take), pa.array(x, pa.int64()), pa.array(at, pa.int32()), pa.array(part, pa.binary())], names=[*KEY, "x", "at", "part"])
+            texts, spans = b.column(0).to_pylist(), b.column(1).to_pylist()
+            rows = [(s["x"], s["c"], s["twin"], t[s["at"] : s["at"] + s["n"] + width - 1]) for t, ss in zip(texts, spans, strict=True) for s in ss]
+            cols = list(zip(*rows, strict=True)) or [[]] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(cols, (pa.int64(), pa.int64(), pa.bool_(), pa.binary()), strict=True)], names=["x", "c", "twin", "part"])
 
-    parts = _reps(docs, reps).mapInArrow(cut, "k_id long, k_text long, x long, at int, part binary")
+    parts = _passages(docs, reps).mapInArrow(cut, "x long, c long, twin boolean, part binary")
 
     def flush(rows):
         if not rows:
             return
-        found = repeated_in([r[4] for r in rows], width)
         out = []
-        for (i, k, _, at, _), w in zip(rows, found, strict=True):
+        for (x, c, _, _), w in zip(rows, repeated_in([r[3] for r in rows], width, [r[2] for r in rows]), strict=True):
             if len(w):
                 first = np.flatnonzero(np.append(True, w[1:] != w[:-1] + 1))
-                for s, e in zip(first, np.append(first[1:], len(w)), strict=True):
-                    out.append((i, k, at + int(w[s]), int(e - s)))
+                out += [(x, c, int(w[s]), int(e - s)) for s, e in zip(first, np.append(first[1:], len(w)), strict=True)]
         cols = list(zip(*out, strict=True)) if out else [[]] * 4
-        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.int32())], names=[*KEY, "at", "n"])
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32())
+        yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(cols, kinds, strict=True)], names=["x", "c", "off", "n"])
 
     def sort(batches):
         rows, held = [], 0
         for b in batches:
             for r in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if held > shard_bytes and r[2] != rows[-1][2]:
+                if held > shard_bytes and r[0] != rows[-1][0]:
                     yield from flush(rows)
                     rows, held = [], 0
                 rows.append(r)
-                held += len(r[4])
+                held += len(r[3])
         yield from flush(rows)
 
-    return parts.repartition("x").sortWithinPartitions("x").mapInArrow(sort, "k_id long, k_text long, at int, n int")
+    return parts.repartition("x").sortWithinPartitions("x").mapInArrow(sort, REPS)
 
 
-def hashed_windows(docs: DataFrame, reps: DataFrame, width: int) -> DataFrame:
-    """(x, h, k_id, k_text, at) of every window of reps: for names with too many different passages
-    for one shard, whose windows are then counted by an aggregation instead."""
+def counted_windows(docs: DataFrame, reps: DataFrame, width: int, made: list[DataFrame]) -> DataFrame:
+    """(x, c, off, n) as sorted_spans, for names with too many different passages for one shard: the
+    windows of each passage are counted by an aggregation, which spreads over all tasks. Written
+    tables that the result reads are added to made."""
 
     def run(batches):
         powers = Powers()
-        for b in _slices(batches, 2):
-            begin, h = _symbols(b.column(2).to_pylist())
+        for b in _slices(batches, 0):
+            begin, h = _symbols(b.column(0).to_pylist())
             roll = Rolling(h, powers)
-            spans = b.column(3)
+            spans = b.column(1)
             own = np.repeat(np.arange(b.num_rows), np.asarray(spans.value_lengths()))
-            flat = spans.flatten()
-            x, at, n = (np.asarray(flat.field(k)) for k in range(3))
+            x, c, _, at, n = (np.asarray(f) for f in spans.flatten().flatten())
             n = n.astype(np.int64)
             for lo in range(0, len(own), 2000):
                 m = n[lo : lo + 2000]
                 row = lo + np.repeat(np.arange(len(m)), m)
-                pos = at[row] + np.arange(len(row)) - np.repeat(np.cumsum(m) - m, m)
-                start = begin[own[row]] + pos
-                take = pa.array(own[row])
-                yield pa.RecordBatch.from_arrays([pa.array(x[row]), pa.array(roll.of(start, start + width).view(np.int64)), b.column(0).take(take), b.column(1).take(take), pa.array(pos.astype(np.int32))], names=["x", "h", *KEY, "at"])
+                off = np.arange(len(row)) - np.repeat(np.cumsum(m) - m, m)
+                start = begin[own[row]] + at[row] + off
+                cols = [pa.array(x[row]), pa.array(c[row]), pa.array(off.astype(np.int32)), pa.array(roll.of(start, start + width).view(np.int64))]
+                yield pa.RecordBatch.from_arrays(cols, names=["x", "c", "off", "h"])
 
-    return _reps(docs, reps).mapInArrow(run, "x long, h long, k_id long, k_text long, at int")
+    w = materialise(_passages(docs, reps).mapInArrow(run, "x long, c long, off int, h long"))
+    met = materialise(w.groupBy("x", "h").agg(F.count("*").alias("k")).where("k > 1").select("x", "h"))
+    made += [w, met]
+    copies = reps.where("twin").select("x", "c", F.lit(0).alias("off"), "n")
+    return w.join(met.hint("merge"), ["x", "h"]).select("x", "c", "off", F.lit(1).alias("n")).union(copies)
 
 
 def drop_repeats(docs: DataFrame, width: int = 400, shard_passages: int = 4000) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept (the bytes that stay).
 
     A byte goes if a string of width bytes covers it that also starts anywhere else, in another
-    document or the same; matches never cross documents, and overlapping ones count. Suffix arrays
-    are built over the passages that equal names leave open, one shard per group of names; a name
-    with more than shard_passages different passages is decided by counting its windows' hashes,
-    which spreads over all tasks.
+    document or the same; matches never cross documents, and overlapping ones count.
+    Windows whose name stands once in the corpus are settled as unique; everything else goes through
+    suffix arrays, one shard per group of names: each different passage once,
+    for all its copies, and what adjacent common prefixes find in a passage holds in all of them. A name with
+    more than shard_passages different passages, which would be too much for one task, is decided by
+    counting its windows' hashes instead, with the same result.
     Defined cases: null text is empty; a null id is the least; rows that share id and text hold each
     other's strings and get one result each; an empty table gives no rows; other columns are ignored.
     """
@@ -267,16 +318,18 @@ def drop_repeats(docs: DataFrame, width: int = 400, shard_passages: int = 4000)
     discard(contexts)
     made = [some]
     kinds = classed(some, made)
-    twice = kinds.where("members > 1").select("x", "c")
-    full = some.join(twice.hint("merge"), ["x", "c"]).select(*KEY, "at", "n")
-    is_open = kinds.where("classes > 1 or x_multi").select("x", "first.k_id", "first.k_text", "first.at", "n", "classes")
-    is_open = materialise(is_open)
-    spans = full.union(sorted_spans(docs, is_open.where(F.col("classes") <= shard_passages).drop("classes"), width))
-    many = is_open.where(F.col("classes") > shard_passages).drop("classes")
+    reps = kinds.where("members > 1 or classes > 1 or x_multi").select("x", "c", (F.col("members") > 1).alias("twin"), "first.k_id", "first.k_text", "first.at", "n", "classes")
+    reps = materialise(reps)
+    made.append(reps)
+    found = sorted_spans(docs, reps.where(F.col("classes") <= shard_passages).drop("classes"), width)
+    many = reps.where(F.col("classes") > shard_passages).drop("classes")
     if many.limit(1).count():
-        spans = spans.union(window_repeats(hashed_windows(docs, many, width), False, made).select(*KEY, "at", "n"))
+        found = found.union(counted_windows(docs, many, width, made))
+    found = materialise(found)
+    made.append(found)
+    spans = some.select("x", "c", *KEY, "at").join(found.hint("merge"), ["x", "c"]).select(*KEY, (F.col("at") + F.col("off")).alias("at"), "n")
     spans = materialise(per_document(spans))
-    discard(is_open, *made)
+    discard(*made)
     d = keyed(docs).select("doc_id", *KEY, F.col("text").cast("binary").alias("text"))
     joined = d.join(spans.hint("merge"), KEY, "left").select("doc_id", "text", "spans")
 
