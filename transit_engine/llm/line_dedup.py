@@ -7,10 +7,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, shield, table
+from .common import doc_key, materialise, shield, table
 
 _SLOTS = 4
-_EDGE = r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$"
+_EDGE = " \t\n\x0b\x0c\r"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -98,7 +98,7 @@ class CuckooFilter:
 
 def line_key(line: Column) -> Column:
     """White space stripped at both ends, A-Z lower-cased."""
-    return F.translate(F.regexp_replace(line, _EDGE, ""), _UPPER, _LOWER)
+    return F.translate(F.btrim(line, F.lit(_EDGE)), _UPPER, _LOWER)
 
 
 def _lines(text: Column) -> Column:
@@ -145,19 +145,50 @@ def filters(counts: DataFrame, min_docs: int, shards: int) -> DataFrame:
     return hot.groupBy("shard").applyInArrow(build, "shard int, cells binary")
 
 
-def _suspects(docs: DataFrame, built: DataFrame, shards: int) -> DataFrame:
-    """(k_id, h1, h2) of lines that the filters don't clear, once per document."""
+def maintained(built: DataFrame, before: DataFrame, after: DataFrame, min_docs: int, shards: int) -> DataFrame:
+    """The filters after a change of the counts, without a rebuild: keys that have come to min_docs
+    documents are inserted, those that have fallen below are deleted. Only a shard that has no room
+    left is built anew, from the exact table."""
+    hot = lambda counts, name: counts.where(F.col("n") >= min_docs).select("h1", "h2", F.lit(True).alias(name))
+    change = hot(before, "was").join(hot(after, "is"), ["h1", "h2"], "full_outer").where("was is null or is is null")
+    change = change.select(F.pmod("h1", F.lit(shards)).cast("int").alias("shard"), "h2", F.col("is").isNotNull().alias("comes"))
+
+    def run(key: tuple, old: pa.Table, keys: pa.Table) -> pa.Table:
+        cells = np.frombuffer(old["cells"][0].as_py(), np.uint16).reshape(-1, _SLOTS).copy() if old.num_rows else None
+        own, h, comes = CuckooFilter(8, cells), keys["h2"].to_numpy(), np.asarray(keys["comes"], bool)
+        own.delete(h[~comes])
+        try:
+            made = own.insert(h[comes]).cells.tobytes()
+        except OverflowError:
+            made = None
+        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "cells": pa.array([made], pa.binary())})
+
+    new = materialise(built.groupBy("shard").cogroup(change.groupBy("shard")).applyInArrow(run, "shard int, cells binary"))
+    full = new.where("cells is null").select("shard")
+    fresh = filters(after.withColumn("shard", F.pmod("h1", F.lit(shards)).cast("int")).join(full, "shard", "left_semi"), min_docs, shards)
+    return new.where("cells is not null").unionByName(fresh)
+
+
+_SUSPECT = "k_id long, k_text long, h1 long, h2 long"
+
+
+def _distinct_keys(docs: DataFrame) -> DataFrame:
+    """(k_id, k_text, k): every document with its distinct line keys as an array."""
+    return docs.select(*doc_key(docs), F.array_distinct(_hashes(F.col("text"))).alias("k"))
+
+
+def _sent(docs: DataFrame, built: DataFrame, shards: int) -> DataFrame:
+    """(k_id, k_text, h1, h2) of lines that the filters don't clear, once per document; the filters
+    are broadcast, so only such lines are shuffled."""
     cells = {r["shard"]: r["cells"] for r in built.collect()}
     sent = docs.sparkSession.sparkContext.broadcast(cells)
-    keyed = docs.select(F.col("doc_id").cast("long").alias("k_id"), F.array_distinct(_hashes(F.col("text"))).alias("k")).select(
-        "k_id", F.col("k.h1").alias("h1"), F.col("k.h2").alias("h2")
-    )
+    keyed = _distinct_keys(docs).select("k_id", "k_text", F.col("k.h1").alias("h1"), F.col("k.h2").alias("h2"))
 
     def probe(batches):
         own = {s: CuckooFilter(0, np.frombuffer(c, np.uint16).reshape(-1, _SLOTS)) for s, c in sent.value.items()}
         for b in batches:
-            lists = b.column(1)
-            h1, h2 = b.column(1).flatten(), b.column(2).flatten()
+            lists = b.column(2)
+            h1, h2 = b.column(2).flatten(), b.column(3).flatten()
             row = np.repeat(np.arange(b.num_rows), np.asarray(lists.value_lengths().fill_null(0)))
             there = np.asarray(h1.is_valid())
             h1, h2 = h1.fill_null(0).to_numpy(), h2.fill_null(0).to_numpy()
@@ -168,32 +199,61 @@ def _suspects(docs: DataFrame, built: DataFrame, shards: int) -> DataFrame:
                 hit[at] = f.contains(h2[at])
             at = np.flatnonzero(hit)
             if len(at):
-                yield pa.record_batch([b.column(0).take(pa.array(row[at])), pa.array(h1[at]), pa.array(h2[at])], names=["k_id", "h1", "h2"])
+                take = pa.array(row[at])
+                yield pa.record_batch([b.column(0).take(take), b.column(1).take(take), pa.array(h1[at]), pa.array(h2[at])], names=["k_id", "k_text", "h1", "h2"])
+
+    return keyed.mapInArrow(probe, _SUSPECT)
+
+
+def _dealt(docs: DataFrame, built: DataFrame, shards: int, salts: int = 16) -> DataFrame:
+    """As _sent where the filters are too many to broadcast: lines travel to the shard of their key,
+    in salted parts, so that one line of a third of all documents is spread; each part meets its
+    filter at its head and streams past it."""
+    k = F.explode("k").alias("k")
+    lines = _distinct_keys(docs).select("k_id", "k_text", k).where("k is not null").select("k_id", "k_text", F.col("k.h1").alias("h1"), F.col("k.h2").alias("h2"))
+    lines = lines.select(
+        F.pmod("h1", F.lit(shards)).cast("int").alias("shard"), F.pmod(F.xxhash64("k_id", "k_text"), F.lit(salts)).cast("int").alias("salt"),
+        F.lit(None).cast("binary").alias("cells"), "k_id", "k_text", "h1", "h2",
+    )
+    heads = built.select("shard", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), "cells", *[F.lit(None).cast("long").alias(c) for c in ("k_id", "k_text", "h1", "h2")])
+
+    def probe(batches):
+        at_shard, own = None, None
+        for b in batches:
+            shard, head = np.asarray(b.column(0)), np.asarray(b.column(2).is_valid())
+            cut = np.flatnonzero(np.append(True, (shard[1:] != shard[:-1]) | head[1:] | head[:-1]))
+            for s, e in zip(cut, np.append(cut[1:], len(shard)), strict=True):
+                if head[s]:
+                    at_shard, own = shard[s], CuckooFilter(0, np.frombuffer(b.column(2)[int(s)].as_py(), np.uint16).reshape(-1, _SLOTS))
+                elif own is not None and at_shard == shard[s]:
+                    part = b.slice(int(s), int(e - s))
+                    ok = own.contains(np.asarray(part.column(6)))
+                    yield pa.RecordBatch.from_arrays([c.filter(pa.array(ok)) for c in part.columns[3:]], names=["k_id", "k_text", "h1", "h2"])
 
-    return keyed.mapInArrow(probe, "k_id long, h1 long, h2 long")
+    parts = heads.unionByName(lines).repartition("shard", "salt").sortWithinPartitions("shard", "salt", F.col("cells").isNull())
+    return parts.mapInArrow(probe, _SUSPECT)
 
 
-def drop_common_lines(docs: DataFrame, min_docs: int = 10, counts: DataFrame | None = None, filter_bytes: int = 64 << 20, shards: int = 64) -> DataFrame:
+def drop_common_lines(docs: DataFrame, min_docs: int = 10, counts: DataFrame | None = None, built: DataFrame | None = None, filter_bytes: int = 64 << 20, shards: int = 64) -> DataFrame:
     """docs with columns n_lines, n_dropped, kept_text (null where text was null).
 
     A line whose key (see line_key) at least min_docs documents hold goes from every document; keys
-    of no characters never do. counts: the exact table; by default that of docs itself.
-    Lines first meet the cuckoo filters, whose false positives the exact table then clears. The
-    filters are broadcast if their measured size is at most filter_bytes; else every line meets the
-    exact table in a shuffled join, with the same result.
+    of no characters never do. counts: the exact table; by default that of docs itself. built: the
+    filters that maintained() keeps beside it; by default they are built from the counts.
+    Lines first meet the cuckoo filters, whose false positives the exact table then clears. Filters of
+    filter_bytes or less are broadcast; larger ones stay dealt, and lines are shuffled to them.
     Defined cases: null or empty text is one empty line; rows that repeat an id count as documents of
     their own and are cleaned alike; a null id works as an id; an empty table gives no rows; other
     columns pass through.
     """
     counts = materialise(counts if counts is not None else reference_counts(docs)).where(F.col("n") >= min_docs)
-    n_hot = counts.count()
-    if n_hot * 2 * 4 <= filter_bytes:  # at most two 16-bit cells a key, and as much again for rounding up
-        suspects = _suspects(docs, materialise(filters(counts, min_docs, shards)), shards)
-    else:
-        suspects = docs.select(F.col("doc_id").cast("long").alias("k_id"), F.explode(F.array_distinct(_hashes(F.col("text")))).alias("k")).where("k is not null").select("k_id", "k.h1", "k.h2")
+    built = materialise(built if built is not None else filters(counts, min_docs, shards))
+    small = (built.agg(F.sum(F.length("cells"))).first()[0] or 0) <= filter_bytes
+    suspects = _sent(docs, built, shards) if small else _dealt(docs, built, shards)
     found = suspects.join(counts.select("h1", "h2"), ["h1", "h2"], "left_semi")
-    per_doc = found.groupBy("k_id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone_"))
-    d = docs.join(per_doc, F.col("doc_id").cast("long").eqNullSafe(F.col("k_id")), "left").drop("k_id")
+    per_doc = found.groupBy("k_id", "k_text").agg(F.collect_set(F.struct("h1", "h2")).alias("gone_"))
+    k_id, k_text = doc_key(docs)
+    d = docs.withColumns({"k_id": k_id, "k_text": k_text}).join(per_doc, ["k_id", "k_text"], "left").drop("k_id", "k_text")
     both = F.arrays_zip(_lines(F.col("text")).alias("line"), _hashes(F.col("text")).alias("k"))
     stays = F.when(F.col("gone_").isNull(), _lines(F.col("text"))).otherwise(
         F.transform(F.filter(both, lambda x: x["k"].isNull() | ~F.array_contains(F.col("gone_"), x["k"])), lambda x: x["line"])
@@ -210,7 +270,7 @@ def op4_line_dedup(spark, sf_dir: str) -> DataFrame:
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without their common lines; n_chars follows where it is a column."""
-    d, back = shield(docs, {"n_lines", "n_dropped", "kept_text", "stays_", "gone_", "k_id"})
+    d, back = shield(docs, {"n_lines", "n_dropped", "kept_text", "stays_", "gone_", "k_id", "k_text"})
     d = drop_common_lines(d).withColumn("text", F.col("kept_text"))
     if "n_chars" in docs.columns:
         d = d.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
