@@ -8,7 +8,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, doc_key, materialise, shield, table
+from .common import components, discard, doc_key, materialise, shield, table
 
 _ALL = np.uint64(0x0101010101010101)
 
@@ -30,9 +30,9 @@ def text_fingerprint(words: list[bytes], size: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, size: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
-    """(k_id long, doc_id, fp long): the fingerprint of every row's whole text, A-Z lower-cased,
-    split at white space. Null text has no words. A null id has the least k_id. With carry (long
-    columns of docs, k_id among them) those and fp instead."""
+    """(doc_id, fp long): the fingerprint of every row's whole text, A-Z lower-cased,
+    split at white space. Null text has no words. With carry (long columns of docs) those and fp
+    instead."""
     keys = carry or ("doc_id",)
     kinds = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keys)
 
@@ -41,8 +41,7 @@ def fingerprints(docs: DataFrame, size: int = 3, carry: tuple[str, ...] = ()) ->
             out = [text_fingerprint(t.lower().split() if t else [], size) for t in b.column(len(keys)).cast(pa.binary()).to_pylist()]
             yield pa.record_batch([*b.columns[:-1], pa.array(np.array(out, np.uint64).view(np.int64))], names=[*keys, "fp"])
 
-    made = docs.select(*keys, "text").mapInArrow(run, f"{kinds}, fp long")
-    return made if carry else made.withColumn("k_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)).cast("long")))
+    return docs.select(*keys, "text").mapInArrow(run, f"{kinds}, fp long")
 
 
 # --- the tree -----------------------------------------------------------------------------------
@@ -152,18 +151,20 @@ def near_duplicates(docs: DataFrame, size: int = 3, reach: int = 3) -> DataFrame
     """(doc_id, fp, component_id) of every row: component_id is the least id that links of
     fingerprints with reach or fewer differing bits lead to, its own included.
 
-    Equal fingerprints are one point of the tree (their documents are counted once), so a group of
-    exact copies costs one row, however large. Defined cases: null or blank text has fingerprint 0,
-    linked like any other; a null id counts as the least id and shows as null; repeated rows link
-    with each other; an empty table gives no rows; columns besides doc_id and text are ignored.
+    Links are between fingerprints, never between ids: equal fingerprints are one point of the tree,
+    so a group of exact copies costs one row, however large, and rows that share an id stay apart if
+    their texts do. Defined cases: null or blank text has fingerprint 0, linked like any other; a null
+    id is no least id (a group with no other has component null); repeated rows link with each other;
+    an empty table gives no rows; columns besides doc_id and text are ignored.
     """
     prints = materialise(fingerprints(docs, size))
-    points = materialise(prints.groupBy("fp").agg(F.min("k_id").alias("node")))
-    groups = linked_groups(points, reach)
-    of_fp = materialise(points.join(groups, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id")))
-    out = prints.join(of_fp.hint("merge"), "fp")
-    none = F.lit(-(2**63)).cast("long")
-    return out.select("doc_id", "fp", F.when(F.col("component_id") != none, F.col("component_id")).alias("component_id"))
+    points = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    groups = linked_groups(points.select("fp", F.col("fp").alias("node")), reach)
+    grouped = materialise(points.join(groups, points.fp == groups.node, "left").select("fp", "least", F.coalesce("component", "fp").alias("group")))
+    least = grouped.groupBy("group").agg(F.min("least").alias("component_id"))
+    of_fp = materialise(grouped.join(least.hint("merge"), "group").select("fp", "component_id"))
+    discard(points, grouped)
+    return prints.join(of_fp.hint("merge"), "fp").select("doc_id", "fp", "component_id")
 
 
 def op8_simhash_vptree(spark, sf_dir: str) -> DataFrame:
@@ -171,19 +172,69 @@ def op8_simhash_vptree(spark, sf_dir: str) -> DataFrame:
     return d.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates the document with the least id stays.
+def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
+    """docs (long columns, then text) with the text replaced by sh: the hashes of its distinct
+    shingles, as in text_fingerprint."""
+    keys = docs.columns[:-1]
+    kinds = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keys)
+    digest = xxhash.xxh64_intdigest
 
-    A document is its id and its text (doc_key): fingerprints are linked, never ids, so rows that share
-    a null or repeated id only go where their own fingerprints are linked."""
+    def run(batches):
+        for b in batches:
+            out = []
+            for t in b.column(len(keys)).cast(pa.binary()).to_pylist():
+                w = t.lower().split() if t else []
+                every = [b" ".join(w)] if len(w) < size else map(b" ".join, zip(*(w[i:] for i in range(size)), strict=False))
+                out.append(np.unique(np.fromiter((digest(x, 42) for x in every), np.uint64)).view(np.int64))
+            flat = np.concatenate([np.zeros(0, np.int64), *out])
+            ends = np.concatenate([[0], np.cumsum([len(x) for x in out])]).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=[*keys, "sh"])
+
+    return docs.mapInArrow(run, f"{kinds}, sh array<long>")
+
+
+def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(k_id, k_text) of the documents that stay: see doc_key.
+
+    Groups of linked fingerprints are only where copies are looked for. Of equal texts the least id
+    stays. In a group of several texts the least document is the first to stay; every other one whose
+    share of common shingles of words words (Jaccard) with it is similarity or more goes, and the rest
+    starts over among itself, until nothing is left. So no document goes without one that stays and is
+    that similar to it, however long the chains of links are. A round is one join on the group, whose
+    larger side adaptive execution may split; only groups of several texts get that far."""
     k_id, k_text = doc_key(docs)
     keyed = docs.select("doc_id", "text", k_id, k_text)
-    prints = materialise(fingerprints(keyed, carry=("k_id", "k_text")))
+    prints = materialise(fingerprints(keyed, size, carry=("k_id", "k_text")))
     points = materialise(prints.select("fp", F.col("fp").alias("node")).distinct())
-    of_fp = points.join(linked_groups(points), "node", "left").select("fp", F.coalesce("component", "node").alias("group"))
-    stays = prints.join(of_fp.hint("merge"), "fp").groupBy("group").agg(F.min(F.struct("k_id", "k_text")).alias("m"))
-    stays = stays.select(F.col("m.k_id").alias("k_id_"), F.col("m.k_text").alias("k_text_"))
+    of_fp = materialise(points.join(linked_groups(points, reach), "node", "left").select("fp", F.coalesce("component", "node").alias("group")))
+    texts = materialise(prints.join(of_fp.hint("merge"), "fp").groupBy("group", "k_text").agg(F.min("k_id").alias("k_id")))
+    several = texts.groupBy("group").agg(F.count("*").alias("n")).where("n > 1").select("group")
+    stays = texts.join(several.hint("merge"), "group", "left_anti").select("k_id", "k_text")
+    crowd = texts.join(several.hint("merge"), "group").select(F.col("k_id").alias("i_"), F.col("k_text").alias("t_"), "group")
+    same = (F.col("k_id") == F.col("i_")) & (F.col("k_text") == F.col("t_"))
+    members = keyed.join(crowd.hint("merge"), same).select("group", "k_id", "k_text", "text").dropDuplicates(["k_id", "k_text"])
+    live = materialise(shingle_sets(members, words))
+    while live.limit(1).count():
+        order = F.struct("k_id", "k_text")
+        first = live.groupBy("group").agg(F.min_by(F.struct("k_id", "k_text", "sh"), order).alias("f"))
+        first = materialise(first.select("group", F.col("f.k_id").alias("f_id"), F.col("f.k_text").alias("f_text"), F.col("f.sh").alias("f_sh")))
+        stays = stays.union(first.select(F.col("f_id").alias("k_id"), F.col("f_text").alias("k_text")))
+        both = F.size(F.array_intersect("sh", "f_sh"))
+        far = both < similarity * (F.size("sh") + F.size("f_sh") - both)
+        rest = live.join(first.hint("merge"), "group").where(far & ~((F.col("k_id") == F.col("f_id")) & (F.col("k_text") == F.col("f_text"))))
+        rest = materialise(rest.select("group", "k_id", "k_text", "sh"))
+        discard(live)
+        live = rest
+    discard(prints, points, of_fp)
+    return stays
+
+
+def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of near-duplicates (five-word shingles, similarity of 0.8 or more, found through linked
+    fingerprints) the document with the least id stays; rows that repeat a document count once."""
+    stays = materialise(kept_documents(docs)).select(F.col("k_id").alias("k_id_"), F.col("k_text").alias("k_text_"))
     # repeats of one document: the last step leaves one, on the partitioning that the join has
     d, back = shield(docs, {"k_id_", "k_text_"})
+    k_id, k_text = doc_key(d)
     d = d.withColumns({"k_id_": k_id, "k_text_": k_text})
     return back(d.join(stays, ["k_id_", "k_text_"], "left_semi").dropDuplicates(["k_id_", "k_text_"]))
