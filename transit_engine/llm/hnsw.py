@@ -122,10 +122,11 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, shard_rows: int
     and scores of the points found are computed anew in double precision on the original vectors, so
     score is exact; the k best of all shards are merged, ties to the smaller vec_id.
     Defined cases: vectors that are null, zero, hold null or non-finite components or have an uncommon
-    length neither ask nor answer; with fewer candidates than k all found are returned; rows that
-    repeat an id answer once; an empty table gives no rows; other columns are ignored.
+    length neither ask nor answer; with fewer candidates than k all found are returned; an id
+    that repeats stands for the least of its vectors, component by component; an empty table gives no rows; other columns are ignored.
     """
-    rows = materialise(valid(vectors.select("vec_id", "embedding")).dropDuplicates(["vec_id"]))
+    # the key follows the vector, so an id that repeats is one vector whatever the order of arrival
+    rows = materialise(valid(vectors.select("vec_id", "embedding")).groupBy("vec_id").agg(F.min(F.struct("v", "key")).alias("m")).select("vec_id", "m.v", "m.key"))
     points = classes(rows, k + 1)
     shards = max(1, -(-points.count() // shard_rows))
     asks = rows.join(queries.select(F.col("vec_id").alias("q_")).distinct(), F.col("vec_id") == F.col("q_"), "left_semi")
