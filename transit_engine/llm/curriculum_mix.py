@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -43,37 +45,40 @@ def source_targets(sizes: DataFrame, share: float = 1.5, cap: float = 2.0, weigh
     return s.select("skey", "source_size", target.alias("target"), "slope")
 
 
-def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WEIGHTS, slopes=SLOPES, bin_digits: int = 3, with_start: bool = False) -> DataFrame:
+def curriculum(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WEIGHTS, slopes=SLOPES, bin_rows: int = 50_000, with_start: bool = False) -> DataFrame:
     """One row per row of docs: doc_id, source, size, source_size, target, taken, position.
 
-    Within a source, documents stand in the order of md5(doc_id). The source gives whole passes over
-    all its words and one more over as many words from the front as its target still needs, so its
-    taken words are its target rounded down. The running sum over that order is taken in two steps,
-    so that a source with a third of all rows is spread: words per (source, leading md5 digits) are
-    summed first and accumulated over the digits; only rows of one digit bin meet in one window.
+    Within a source, documents stand in the order of an md5 of id and text. The source gives whole
+    passes over all its words and one more over as many words from the front as its target still
+    needs, so its taken words are its target rounded down. The running sum over that order is taken in
+    two steps, so that a source or an id with a third of all rows is spread: words per (source, leading
+    md5 digits) are summed first and accumulated over the digits; only rows of one digit bin, about
+    bin_rows of all sources, meet in one window. The number of digits changes no result.
     position is the training time in 0..1 of the document's first pass: where the source's integrated
     weight schedule, scaled to the words that it gives, has asked for the words up to the middle of
     what is taken (closed form); passes() gives the times of all passes.
     Defined cases: null text has size 0; null source is a source of its own, last; a null id is
-    ordered as the empty text; size 0 takes 0; rows that repeat an id are separate documents and
-    stand in the order of their sizes; an empty table gives no rows. Other columns are ignored.
+    ordered as an empty one; size 0 takes 0; rows that repeat an id are separate documents, in an order
+    of their texts; an empty table gives no rows. Other columns are ignored.
     """
     sizes = materialise(
         docs.select(
             "doc_id", "source",
             F.when(F.col("source").isNull(), F.lit("n")).otherwise(F.concat(F.lit("m"), "source")).alias("skey"),
             F.coalesce(F.regexp_count("text", F.lit(WORD)).cast("long"), F.lit(0).cast("long")).alias("size"),
-            F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")).alias("h"),
+            F.md5(F.concat_ws(" ", F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.md5(F.coalesce("text", F.lit("")).cast("binary"))).cast("binary")).alias("h"),
             doc_key(docs)[1],
         )
-    ).withColumn("bin", F.substring("h", 1, bin_digits))
+    )
+    digits = max(2, math.ceil(math.log(max(1, sizes.count()) / bin_rows, 16)))
+    sizes = sizes.withColumn("bin", F.substring("h", 1, digits))
     targets = materialise(source_targets(sizes, share, cap, weights, slopes))
     bins = sizes.groupBy("skey", "bin").agg(F.sum("size").alias("bin_size"))
     before = Window.partitionBy("skey").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
     bins = bins.withColumn("bin_start", F.coalesce(F.sum("bin_size").over(before), F.lit(0).cast("long")))
     # one row per source and bin: the plan of every bin, joined to its documents
     bins = materialise(bins.join(targets, "skey").drop("bin_size"))
-    inside = Window.partitionBy("skey", "bin").orderBy("h", "doc_id", "size", "k_text").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("skey", "bin").orderBy("h").rowsBetween(Window.unboundedPreceding, -1)
     d = sizes.join(bins, ["skey", "bin"]).withColumn("start", F.col("bin_start") + F.coalesce(F.sum("size").over(inside), F.lit(0).cast("long")))
     goal = F.floor(F.col("target")).cast("long")
     full = F.when(F.col("source_size") > 0, F.floor(goal / F.col("source_size"))).otherwise(0).cast("long")
@@ -106,7 +111,7 @@ def passes(docs: DataFrame, **more) -> DataFrame:
 def op10_curriculum_mix(spark, sf_dir: str) -> DataFrame:
     d = curriculum(table(spark, sf_dir, "documents"))
     d = d.repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id")
-    return d.select("doc_id", "size", "source_size", "target", "taken")
+    return d.select("doc_id", "size", "source_size", "target", "taken", F.round("position", 9).alias("position"))
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -123,19 +128,21 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 ORACLE = r"""
 WITH d AS (
   SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size,
-         md5(coalesce(doc_id::VARCHAR, '')) AS h FROM documents),
+         md5(coalesce(doc_id::VARCHAR, '') || ' ' || md5(coalesce(text, ''))) AS h FROM documents),
 s AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
-r AS (SELECT *, CASE (row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS w,
-             2.0::DOUBLE * source_size AS most FROM s),
+k AS (SELECT *, (row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 AS k FROM s),
+r AS (SELECT *, CASE k WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS w, CASE k WHEN 0 THEN -0.5::DOUBLE WHEN 1 THEN 0 ELSE 0.5 END AS tilt, 2.0::DOUBLE * source_size AS most FROM k),
 p AS (SELECT *, 1.5::DOUBLE * sum(source_size) OVER () AS total, sum(w) OVER () AS ws,
              coalesce(sum(most) OVER o, 0) AS cb, coalesce(sum(w) OVER o, 0) AS wb
       FROM r WINDOW o AS (ORDER BY most / w, source IS NULL, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 q AS (SELECT *, max(CASE WHEN (total - cb) / (ws - wb) <= most / w THEN (total - cb) / (ws - wb) END) OVER () AS water FROM p),
-t AS (SELECT source, source_size, least(most, coalesce(water * w, most))::DOUBLE AS target FROM q),
-c AS (SELECT d.*, t.source_size, t.target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY h, doc_id, size
+t AS (SELECT source, source_size, tilt, least(most, coalesce(water * w, most))::DOUBLE AS target FROM q),
+c AS (SELECT d.*, t.source_size, t.target, t.tilt, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY h
         ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start, floor(t.target)::BIGINT AS goal
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
-g AS (SELECT *, CASE WHEN source_size > 0 THEN goal // source_size ELSE 0 END AS passes FROM c)
-SELECT doc_id, size, source_size, target,
-       (passes * size + greatest(0, least(size, goal - passes * source_size - start)))::BIGINT AS taken FROM g
+g AS (SELECT *, CASE WHEN source_size > 0 THEN goal // source_size ELSE 0 END AS passes FROM c),
+x AS (SELECT *, (passes * size + greatest(0, least(size, goal - passes * source_size - start)))::BIGINT AS taken FROM g),
+u AS (SELECT *, least(1.0::DOUBLE, (start + greatest(0, least(size, taken)) / 2) / greatest(goal, 1)) AS u FROM x)
+SELECT doc_id, size, source_size, target, taken,
+       round(CASE WHEN tilt = 0 THEN u ELSE (tilt - 1 + sqrt((1 - tilt) * (1 - tilt) + 4 * tilt * u)) / (2 * tilt) END, 9) AS position FROM u
 """
