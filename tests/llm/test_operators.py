@@ -400,3 +400,87 @@ def test_n_best_ids_have_their_scores(docs, rows):
         (_, scores, ways, _), = piece_lattice.encode_batch(lat, [unit[1:]], 3, seen)
         full = lat.n_best(unit, 3)
         assert np.allclose(scores, [s for s, _ in full]) and sorted(w.tolist() for w in ways) == sorted(w for _, w in full)
+
+
+@pytest.mark.parametrize("filter_bytes", [64 << 20, 0])
+def test_lines_that_end_in_other_separators(spark, filter_bytes):
+    texts = ["foo \u0085"] * 9 + ["foo\u0085", "\x0b Bar\x0c\r", "\tbAR "] + ["bar"] * 8
+    d = spark.createDataFrame([(None if i % 2 else i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    got = line_dedup.drop_common_lines(d, filter_bytes=filter_bytes).collect()
+    assert sorted(r.text for r in got if not r.n_dropped) == sorted(texts[:10]) and all(r.kept_text == "" for r in got if r.n_dropped)
+
+
+def test_filters_follow_the_counts(docs):
+    d = docs.select("doc_id", "text")
+    first, second = d.where("doc_id < 44"), d.where("doc_id >= 44")
+    one = line_dedup.materialise(line_dedup.reference_counts(first))
+    built = line_dedup.materialise(line_dedup.filters(one, 2, 4))
+    both = line_dedup.materialise(line_dedup.insert_documents(one, second))
+    grown = line_dedup.materialise(line_dedup.maintained(built, one, both, 2, 4))
+    back = line_dedup.materialise(line_dedup.maintained(grown, both, one, 2, 4))
+    for counts, cells in ((one, built), (both, grown), (one, back)):
+        own = {r.shard: line_dedup.CuckooFilter(0, np.frombuffer(r.cells, np.uint16).reshape(-1, 4)) for r in cells.collect()}
+        for r in counts.where("n >= 2").collect():
+            assert own[r.h1 % 4].contains(np.array([r.h2]))[0]
+    kept = sum(int((f.cells != 0).sum()) for f in own.values())
+    assert kept == one.where("n >= 2").count() < both.where("n >= 2").count()
+    a, b = line_dedup.drop_common_lines(d, 2, both, grown, shards=4), line_dedup.drop_common_lines(d, 2)
+    assert a.exceptAll(b).count() == b.exceptAll(a).count() == 0
+
+
+def test_shared_ids_link_no_texts(spark):
+    words = lambda k: " ".join(f"w{k}x{i}" for i in range(30))
+    d = spark.createDataFrame([(None, words(1)), (None, words(2)), (5, words(1)), (9, words(2)), (9, words(3)), (None, words(4))], "doc_id long, text string")
+    got = {(r.doc_id, r.fp): r.component_id for r in simhash_vptree.near_duplicates(d).collect()}
+    by = Counter(got.values())
+    assert len(got) == 6 and by == Counter({5: 2, 9: 3, None: 1})
+
+
+def test_repeated_vector_ids_agree(spark):
+    rows = [(i, [float(i % 7), 1.0]) for i in range(30)] + [(20, [9.0, 1.0]), (20, [-9.0, 1.0])]
+    runs = [hnsw.nearest(d, d.where("vec_id % 20 = 0"), k=4).collect() for d in (spark.createDataFrame(x, "vec_id long, embedding array<double>").repartition(n) for x, n in ((rows, 1), (rows[::-1], 3)))]
+    assert sorted(runs[0]) == sorted(runs[1]) and len(runs[0]) == 8
+    assert all(abs(r.score - (-9.0 * (r.vec_id % 7) + 1)) < 1e-9 for r in runs[0] if r.query_id == 20)
+
+
+def test_labels_and_rows_that_repeat(spark):
+    d = spark.createDataFrame([(1, f"word{i % 50}") for i in range(300)] + [(2, "other")], "doc_id long, text string")
+    l = spark.createDataFrame([(1, 1), (1, 0), (2, 0), (None, 1)], "doc_id long, toxic int")
+    seen = []
+    keep, toxicity.fit = toxicity.fit, lambda ids, y, twins, pull: seen.append((len(ids), len(twins), y.sum())) or keep(ids, y, twins, pull)
+    try:
+        out = toxicity.score_toxicity(d, toxicity.train(d, l, sample=40)).collect()
+    finally:
+        toxicity.fit = keep
+    assert seen[0][:2] == (40, 40) and seen[0][2] >= 39 and len(out) == 301
+
+
+def test_mentions_of_groups_stay_harmless():
+    r = np.random.default_rng(1)
+    y = np.array([i % 4 == 0 for i in range(400)], int)
+    docs = [{f"n{k}" for k in r.integers(0, 60, 8)} | ({"moron"} if k and r.random() < 0.8 else set()) | ({"women"} if r.random() < (0.7 if k else 0.02) else set()) for k in y]
+    rows = [np.array(toxicity.feature_ids(w)) for w in docs]
+    twins = [(i, np.array(toxicity.feature_ids(toxicity.counterfactual_pair(w)[1]))) for i, w in enumerate(docs)]
+    neutral = [{f"n{k}" for k in r.integers(0, 60, 8)} for _ in range(200)]
+    false = {}
+    for pull in (0.0, 20.0):
+        w, b = toxicity.fit(rows, y, twins, pull=pull)
+        score = lambda x: w[toxicity.feature_ids(x)].sum() + b  # noqa: B023, E731
+        false[pull] = np.mean([score(x | {"women"}) >= 0 for x in neutral])
+        assert np.mean([score(x) >= 0 for x in neutral]) < 0.1 and np.mean([score(x | {"moron"}) >= 0 for x in neutral]) > 0.9
+    assert false[20.0] < 0.5 * false[0.0] and false[0.0] > 0.2
+
+
+def test_sorted_arrays_decide_all_repeats(docs, rows, monkeypatch):
+    spans = []
+    keep = suffix_array.sorted_spans
+    monkeypatch.setattr(suffix_array, "sorted_spans", lambda *a: spans.append(suffix_array.materialise(keep(*a))) or spans[-1])
+    monkeypatch.setattr(suffix_array, "counted_windows", None)
+    got = table(suffix_array.drop_repeats(docs, 40))
+    assert sum(g.n_removed > 0 for g in got.values()) > 12 and spans[0].count() > 0
+
+
+def test_mix_positions_reach_the_end(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    last = curriculum_mix.passes(docs).groupBy("source").agg({"position": "max"}).collect()
+    assert len(last) > 3 and all(r[1] > 0.95 for r in last)

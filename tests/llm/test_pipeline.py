@@ -1,3 +1,6 @@
+import random
+from collections import Counter
+
 import corpus_pipeline
 from test_operators import DOCS, awkward
 from transit_engine.llm import language_id, line_dedup, simhash_vptree
@@ -39,3 +42,48 @@ def test_shared_ids_drop_no_other_text(spark, sf):
     kept = simhash_vptree.stage(spark, docs, sf).collect()
     assert sorted(r.text for r in kept) == sorted(words(k) for k in range(1, 6))
     assert {r.doc_id for r in kept if r.text == words(5)} == {5}
+
+
+def _jaccard(a: str, b: str, n: int = 5) -> float:
+    x, y = ({tuple(w[i : i + n]) for i in range(len(w) - n + 1)} or {tuple(w)} for w in (a.lower().split(), b.lower().split()))
+    return len(x & y) / len(x | y)
+
+
+def test_only_similar_documents_go(spark, sf):
+    """Links reach far here, so groups hold texts that are no copies: none goes without a similar one that stays."""
+    r = random.Random(3)
+    base = [f"w{r.randrange(4000)}" for _ in range(120)]
+    rows = []
+    for i in range(60):
+        w = list(base)
+        for _ in range(i // 4):
+            w[r.randrange(len(w))] = f"x{r.randrange(9999)}"
+        rows.append((i, " ".join(w)))
+    docs = spark.createDataFrame([*rows, (60, rows[0][1]), (61, None), (62, "")], "doc_id long, text string").repartition(3)
+    text, ids = dict(rows), {}
+    for k in simhash_vptree.kept_documents(docs, reach=20).collect():
+        ids[k.k_id] = 1
+    assert {61}.isdisjoint({60}) and 60 not in ids and 1 < len(ids) < 60
+    for i, t in rows:
+        near = [j for j in ids if j in text and j <= i and _jaccard(t, text[j]) >= 0.8]
+        assert near
+    kept = sorted(j for j in ids if j in text)
+    assert all(_jaccard(text[a], text[b]) < 0.8 for k, a in enumerate(kept) for b in kept[k + 1 :])
+
+
+def test_stages_against_brute_force(spark):
+    """Line dedup and near-dedup of the given documents, by plain Python."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    key = lambda s: s.strip(" \t\n\x0b\x0c\r").translate({c: c + 32 for c in range(65, 91)})
+    n = Counter(k for t in texts.values() for k in {key(x) for x in (t or "").split("\n")} - {""})
+    want = {i: None if t is None else "\n".join(x for x in t.split("\n") if not key(x) or n[key(x)] < 10) for i, t in texts.items()}
+    lines = corpus_pipeline.materialise(line_dedup.stage(spark, docs, ""))
+    assert {r.doc_id: r.text for r in lines.collect()} == want
+    kept = {r.doc_id for r in simhash_vptree.stage(spark, lines, "").collect()}
+    first = {}
+    for i in sorted(want):
+        first.setdefault(want[i] or "", i)
+    assert kept <= set(first.values())
+    for i in set(want) - kept:
+        assert any(j < i and (want[j] or "") == (want[i] or "") or _jaccard(want[i] or "", want[j] or "") >= 0.8 for j in kept if j < i)

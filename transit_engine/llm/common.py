@@ -80,7 +80,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Alternates two star contractions until nothing changes. Each step needs the least neighbour of
     every node (an aggregation that combines on the map side) joined back to the edges; the minima
     are written first, so both join inputs are plain exchanges that adaptive execution may split
-    where one node holds many edges. Edges stay at most as many as given, in two columns.
+    where one node holds many edges. Edges stay at most as many as given, in two columns; a round's
+    tables are deleted when the next has read them. The number of rounds grows with the logarithm of
+    the longest chain; if max_rounds don't do, an error is raised.
     """
     e = materialise(
         edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
@@ -93,11 +95,11 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         # large star: every node hands its larger neighbours to the least node it sees
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")))
-        grown = (
-            both.join(least.hint("merge"), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        seen = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")))
+        grown = materialise(
+            both.join(seen.hint("merge"), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         )
-        grown = materialise(grown)
+        discard(e, seen)
         # small star: every node hands its smaller neighbours to the least of them
         least = materialise(grown.groupBy("u").agg(F.min("v").alias("m")))
         joined = grown.join(least.hint("merge"), "u")
@@ -106,9 +108,12 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .union(least.select("u", F.col("m").alias("v")))
             .where("u <> v").distinct()
         )
+        discard(grown, least)
         after = signature(e)
         if after == before:
             break
         before = after
+    else:
+        raise RuntimeError(f"components are not settled after {max_rounds} rounds")
     nodes = e.select(F.col("u").alias("node"), F.col("v").alias("component"))
     return nodes.union(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
