@@ -257,3 +257,43 @@ def test_all_orders_are_searched(spark, sf):
     best = {r.req_id: r[1] for r in kernels.route_blocks(net, asked, 9).groupBy("req_id").agg({"arr": "min"}).collect()}
     graph = {r.req_id: r.arr for r in workloads.QUERIES["od_event_graph_all"](spark, sf).collect()}
     assert best == graph and len(got) > 200 and all(r[1] >= graph[r.req_id] for r in got)
+
+
+def test_layered_graph_and_cells_in_arrays(spark, sf, net):
+    """The layered event graph, and the cell-pruned kernels, against the routers that they repeat."""
+    q = written(derive.requests(spark, sf, net, 60))
+    want = rows(kernels.route_blocks(net, q, K), "req_id", "n", "arr")
+    assert rows(event_graph.layered(net, q, K + 1), "req_id", "n", "arr") == want and len(want) > 40
+    tr = transfers.of(net, f"regional {sf}")
+    nodes = written(cells.natural(net))
+    stops = written(cells.stop_cells(net, nodes))
+    cut = cells.cut_stops(stops)
+    fill = written(fillin.compute(net, tr, nested.flat_pairs(cut), engine="arrays"))
+    a = kernels.Arrays(net)
+    own = kernels.Admission(a, cells.route_cells(nodes), fillin.as_trips(net, fill))
+    ask = written(cells.label_requests(q, stops))
+    assert rows(kernels.segment_blocks(net, tr, ask, K, a, cells=own), "req_id", "n", "arr") == want
+    assert rows(kernels.route_blocks(net, ask, K, arrays=a, cells=own), "req_id", "n", "arr") == want
+    some = written(cut.orderBy("stop_id").limit(4))
+    g, goals = range_router.groups_of(net, some.withColumnRenamed("stop_id", "source"), some.withColumnRenamed("stop_id", "target"))
+    cols = ("source", "target", "dep", "n", "arr")
+    assert rows(kernels.fanout_blocks(net, tr, g, goals, 25200, 36000), *cols) == rows(range_router.fanout_segments(net, tr, g, goals, 25200, 36000).rows, *cols)
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_layers_and_reductions_on_irregular_networks(spark, seed):
+    net = random_network(spark, seed)
+    stops = [r.stop_id for r in net.stops.collect()]
+    near = {(a, b) for a, b, _ in net.neighbourhood().collect()}
+    r = random.Random(seed + 7)
+    reqs = [(i, s, t, r.randint(0, 60) * 60) for i, (s, t) in enumerate(r.sample([(s, t) for s in stops for t in stops if (s, t) not in near], 10))]
+    df = spark.createDataFrame(reqs, REQUESTS)
+    want = sorted((i, n, a) for i, s, t, d in reqs for n, a in brute(net, s, t, d, 3))
+    assert rows(event_graph.layered(net, df, 4), "req_id", "n", "arr") == want
+    raw = written(transfers.generate(net))
+    weak, full, dealt = (written(x) for x in (transfers.weakly_reduced(net, raw), transfers.reduced(net, raw), transfers.reduced(net, raw, most_events=0)))
+    assert rows(full, *full.columns) == rows(dealt, *full.columns)
+    assert full.exceptAll(raw).count() == full.join(weak, ["t1", "i1", "t2", "i2"], "left_anti").count() == 0
+    for kept in (weak, full):
+        assert rows(journeys.pareto(segment_router.route(net, df, kept, 3).labels), "req_id", "n", "arr") == want
+        assert rows(kernels.segment_blocks(net, kept, df, 3), "req_id", "n", "arr") == want

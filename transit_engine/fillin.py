@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import kernels
 from .derive import DAY_END, DAY_START
 from .range_router import as_pairs, fanout_segments
 from .schema import Network
@@ -13,9 +14,14 @@ from .schema import Network
 def compute(net: Network, transfers: DataFrame, pairs: DataFrame, k: int = 4, engine: str = "fanout", lo: int = DAY_START, hi: int = DAY_END) -> DataFrame:
     """(trip_id, src_stop, dst_stop) of the journeys of every non-dominated (departure, transfers,
     arrival) between the ordered stop pairs (src_stop, dst_stop). engine: fanout searches once per source
-    for all its destinations; pairs once per pair, the baseline. Walking from the source is allowed."""
+    for all its destinations; pairs once per pair, the baseline; arrays as fanout, one task per source
+    against a broadcast timetable whose size is checked. Walking from the source is allowed. Of equally
+    good journeys the engines may keep different ones; either set of trips answers every request."""
     groups = pairs.select(F.col("src_stop").alias("g"), F.col("src_stop").alias("source")).distinct()
     targets = pairs.select(F.col("src_stop").alias("g"), F.col("dst_stop").alias("target")).distinct()
+    if engine == "arrays":
+        found = kernels.fanout_blocks(net, transfers, groups, targets, lo, hi, k, with_trips=True)
+        return found.select(F.explode("trips").alias("trip_id"), F.col("source").alias("src_stop"), F.col("target").alias("dst_stop")).distinct()
     if engine == "pairs":
         groups, targets = as_pairs(groups, targets)
     found = fanout_segments(net, transfers, groups, targets, lo, hi, k, with_legs=True).rows

@@ -29,9 +29,9 @@ def close(walks: DataFrame, max_doublings: int = 12) -> DataFrame:
         w = written(w.union(two).groupBy("a", "b").agg(F.min("secs").cast("int").alias("secs")))
         now = w.agg(F.count("*"), F.sum("secs")).first()
         if now == mark:
-            break
+            return w
         mark = now
-    return w
+    raise ValueError(f"walks still grow after {max_doublings} doublings; they join too many stops to be closed")
 
 
 def neighbourhood(stops: DataFrame, walks: DataFrame) -> DataFrame:

@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import heapq
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -48,10 +49,25 @@ class Arrays:
     def of(self, stop_ids: np.ndarray) -> np.ndarray:
         return np.searchsorted(self.ids, stop_ids)
 
+    @cached_property
+    def calls(self) -> list[list[tuple[int, int]]]:
+        """Per stop the (route number, index) of the routes that call there."""
+        out: list[list[tuple[int, int]]] = [[] for _ in self.ids]
+        for r, (stops, _) in enumerate(self.routes):
+            for i, s in enumerate(stops.tolist()):
+                out[s].append((r, i))
+        return out
 
-def round_labels(net: Arrays, source, target, dep, k: int, prune: bool = True) -> np.ndarray:
+    @cached_property
+    def base(self) -> np.ndarray:
+        """Number of the first trip of every route, trips counted through all routes, and the end."""
+        return np.concatenate([[0], np.cumsum([len(ids) for _, ids in self.trips])])
+
+
+def round_labels(net: Arrays, source, target, dep, k: int, prune: bool = True, admit: np.ndarray | None = None) -> np.ndarray:
     """(k + 1, requests): earliest arrival with at most n transfers, 2**30 if none; all requests of the
-    block go through a route's stops together."""
+    block go through a route's stops together. admit: (routes, requests), whether a request may use a
+    route (the cell-pruned variant)."""
     m, s = len(source), len(net.ids)
     own = np.arange(m)
     best = np.full((s, m), _NEVER, np.int32)
@@ -67,9 +83,9 @@ def round_labels(net: Arrays, source, target, dep, k: int, prune: bool = True) -
     for n in range(k + 1):
         new = np.full((s, m), _NEVER, np.int32)
         some = marked.any(1)
-        for stops, times in net.routes:
+        for r, (stops, times) in enumerate(net.routes):
             hot = some[stops[:-1]]
-            if not hot.any():
+            if not hot.any() or (admit is not None and not admit[r].any()):
                 continue
             none = times.shape[1] - 1
             cur = None
@@ -78,7 +94,7 @@ def round_labels(net: Arrays, source, target, dep, k: int, prune: bool = True) -
                 if cur is not None:
                     np.minimum(new[st], times[i][cur], out=new[st])
                 if i < len(stops) - 1 and some[st]:
-                    at = np.flatnonzero(marked[st])
+                    at = np.flatnonzero(marked[st] if admit is None else marked[st] & admit[r])
                     got = np.searchsorted(times[i, :none], best[st, at], side="left")
                     if cur is None:
                         cur = np.full(m, none)
@@ -154,6 +170,61 @@ def departure_lists(net: Arrays):
     return out
 
 
+def layered_dijkstra(net: Arrays, departures, source: int, target: int, dep: int, k: int, walks: dict) -> list[int]:
+    """Earliest arrivals with at most 0..k transfers by shortest paths on k + 1 copies of the event graph.
+
+    Layer n holds what n rides before have led to. Its nodes are stops reached, departures waited for and
+    events aboard; waiting and staying aboard keep the layer, alighting leads to the next one. A node is
+    settled once per layer, and not at all where a lower layer has settled it no later."""
+    best = [int(_NEVER)] * (k + 1)
+    stop_seen: list[dict] = [{} for _ in best]
+    wait_seen: list[dict] = [{} for _ in best]
+    ride_seen: list[dict] = [{} for _ in best]
+    at_stop, waiting, aboard = 0, 1, 2
+    heap = [(dep + w, 0, at_stop, b, 0, 0) for b, w in ((source, 0), *walks.get(source, ()))]
+    heapq.heapify(heap)
+
+    def settled(seen, layer, key, value):
+        if any(seen[l].get(key, _NEVER) <= value for l in range(layer + 1)):
+            return True
+        seen[layer][key] = value
+        return False
+
+    while heap:
+        t, layer, kind, x, y, z = heapq.heappop(heap)
+        if t >= best[layer]:
+            continue
+        if kind == at_stop:
+            if settled(stop_seen, layer, x, t):
+                continue
+            at = int(np.searchsorted(departures[x][0], t))
+            if at < len(departures[x][0]):
+                heapq.heappush(heap, (int(departures[x][0][at]), layer, waiting, x, at, 0))
+        elif kind == waiting:
+            times, rides, _ = departures[x]
+            if settled(wait_seen, layer, (x, y), 0):
+                continue
+            r, i, trip = rides[y]
+            heapq.heappush(heap, (t, layer, aboard, r, trip, i))
+            if y + 1 < len(times):
+                heapq.heappush(heap, (int(times[y + 1]), layer, waiting, x, y + 1, 0))
+        else:
+            if settled(ride_seen, layer, (x, y), z):
+                continue
+            stops, matrix = net.routes[x]
+            for j in range(z + 1, len(stops)):
+                there, when = int(stops[j]), int(matrix[j, y])
+                if when >= best[layer]:
+                    break
+                for b, w in ((there, 0), *walks.get(there, ())):
+                    if b == target:
+                        for n in range(layer, k + 1):
+                            best[n] = min(best[n], when + w)
+                    if layer < k:
+                        heapq.heappush(heap, (when + w, layer + 1, at_stop, b, 0, 0))
+    return best
+
+
 def _walks_by_stop(net: Arrays) -> dict:
     out: dict[int, list] = {}
     for a, b, w in zip(net.walk_a.tolist(), net.walk_b.tolist(), net.walk_s.tolist(), strict=True):
@@ -161,18 +232,20 @@ def _walks_by_stop(net: Arrays) -> dict:
     return out
 
 
-def segment_query(net: Arrays, transfers: dict, source: int, target: int, dep: int, k: int, walks: dict) -> list[int]:
+def segment_query(net: Arrays, transfers: dict, source: int, target: int, dep: int, k: int, walks: dict, admit=None) -> list[int]:
     """One request, one task, no vector work: the trip-segment search with first-reached indices.
-    transfers: (route number, trip, index) -> [(route number, trip, index)]."""
-    near_t = {target: 0} | {a: w for a, ws in walks.items() for b, w in ws if b == target}
+    transfers: (route number, trip, index) -> [(route number, trip, index)]. admit: (whether each route is
+    free, per route whether each trip is in the fill-in), the cell-pruned variant."""
     hits: dict[int, list] = {}
-    for r, (stops, _) in enumerate(net.routes):
-        for i, s in enumerate(stops.tolist()):
-            if i and s in near_t:
-                hits.setdefault(r, []).append((i, near_t[s]))
+    for s, w in ((target, 0), *((a, w) for a, ws in walks.items() for b, w in ws if b == target)):
+        for r, i in net.calls[s]:
+            if i:
+                hits.setdefault(r, []).append((i, w))
     reached: dict[tuple, int] = {}
 
     def add(queue, r, trip, i):
+        if admit is not None and not admit[0][r] and not admit[1][r][trip]:
+            return
         stops, times = net.routes[r]
         end = reached.get((r, trip), len(stops) - 1)
         if i >= end:
@@ -184,11 +257,11 @@ def segment_query(net: Arrays, transfers: dict, source: int, target: int, dep: i
             reached[(r, later)] = i
 
     queue: list = []
-    starts = {source: 0} | dict(walks.get(source, ()))
-    for r, (stops, times) in enumerate(net.routes):
-        for i, s in enumerate(stops.tolist()[:-1]):
-            if s in starts:
-                trip = int(np.searchsorted(times[i, :-1], dep + starts[s]))
+    for s, w in ((source, 0), *walks.get(source, ())):
+        for r, i in net.calls[s]:
+            stops, times = net.routes[r]
+            if i < len(stops) - 1:
+                trip = int(np.searchsorted(times[i, :-1], dep + w))
                 if trip < times.shape[1] - 1:
                     add(queue, r, trip, i)
     label, out = int(_NEVER), []
@@ -209,6 +282,76 @@ def segment_query(net: Arrays, transfers: dict, source: int, target: int, dep: i
     return out
 
 
+def profile_search(net: Arrays, hops: "Hops", source: int, targets: dict[int, int], deps: list[int], k: int, walks: dict, with_trips: bool = False):
+    """All departures deps (latest first) of one source to many targets (stop -> place in the answer).
+
+    Returns rows (place, dep, n, arr, trips) that no later departure, fewer transfers or earlier arrival
+    dominates, and the number of segments scanned. What a later departure reached with as few transfers
+    stays reached: per number of transfers the least index at which every trip was boarded is kept
+    through all departures, and so are the labels of all targets. A segment is scanned once for all
+    targets and expanded only while its next arrival beats some target's label."""
+    most = len(targets)
+    label = np.full((k + 1, most), _NEVER, np.int64)
+    near: dict[int, list[tuple[int, int]]] = {}
+    for stop, place in targets.items():
+        near.setdefault(stop, []).append((place, 0))
+    for a, ws in walks.items():
+        for b, w in ws:
+            if b in targets:
+                near.setdefault(a, []).append((targets[b], w))
+    length = np.array([len(stops) for stops, _ in net.routes])
+    reached = np.tile(np.repeat(length - 1, np.diff(net.base)).astype(np.int32), (k + 1, 1))
+    rows, scanned = [], 0
+    starts = [(w, r, i) for s, w in ((source, 0), *walks.get(source, ())) for r, i in net.calls[s] if i < length[r] - 1]
+    goals = {r: [(j, p, w) for j, s in enumerate(stops.tolist()) if j for p, w in near.get(s, ())] for r, (stops, _) in enumerate(net.routes)}
+
+    def add(queue, n, r, trip, i, parent):
+        at, end = net.base[r] + trip, net.base[r + 1]
+        last = int(reached[n, at])
+        if i < last:
+            queue.append((r, trip, i, last, parent))
+            np.minimum(reached[n:, at:end], i, out=reached[n:, at:end])
+
+    for dep in deps:
+        queue: list = []
+        for w, r, i in starts:
+            times = net.routes[r][1]
+            trip = int(np.searchsorted(times[i, :-1], dep + w))
+            if trip < times.shape[1] - 1:
+                add(queue, 0, r, trip, i, None)
+        better: dict[tuple[int, int], tuple] = {}
+        for n in range(k + 1):
+            scanned += len(queue)
+            for seg in queue:
+                r, trip, i, end, _ = seg
+                times = net.routes[r][1]
+                for j, p, w in goals[r]:
+                    if i < j <= end:
+                        arr = int(times[j, trip]) + w
+                        if arr < label[n, p]:
+                            label[n:, p] = np.minimum(label[n:, p], arr)
+                            better[n, p] = seg
+            if n == k:
+                break
+            bound, nxt = label[n].max(initial=0), []
+            for seg in queue:
+                r, trip, i, end, _ = seg
+                if net.routes[r][1][i + 1, trip] < bound:
+                    for j in range(i + 1, end + 1):
+                        for r2, trip2, i2 in hops.get((r, trip, j)):
+                            add(nxt, n + 1, r2, trip2, i2, seg)
+            queue = nxt
+        for (n, p), seg in sorted(better.items(), key=lambda x: x[0]):
+            if n and label[n, p] >= label[n - 1, p]:
+                continue
+            trips = []
+            while with_trips and seg is not None:
+                trips.append(int(net.trips[seg[0]][1][seg[1]]))
+                seg = seg[4]
+            rows.append((p, dep, n, int(label[n, p]), trips))
+    return rows, scanned
+
+
 class Hops:
     """Transfers by (route number, trip, index), in arrays: a start per stop event, then the trips met."""
 
@@ -234,40 +377,106 @@ class Hops:
         return self.to[self.start[e] : self.start[e + 1]].tolist()
 
 
-def segment_blocks(net: Network, transfers: DataFrame, requests: DataFrame, k: int = 4) -> DataFrame:
-    """(req_id, n, arr), improvements only: the trip-segment search request by request inside tasks,
-    against a timetable and transfers that are broadcast after a check of their sizes."""
+def fanout_blocks(net: Network, transfers: DataFrame, groups: DataFrame, targets: DataFrame, lo: int, hi: int, k: int = 4, with_trips: bool = False) -> DataFrame:
+    """(g, source, target, dep, n, arr, trips, scanned): profiles of groups (g, source) to their targets
+    (g, target) over all departures in lo..hi; scanned: segments of the group's whole search. One group is
+    one search inside a task, against a timetable and transfers broadcast after a check of their sizes."""
     a = Arrays(net)
-    sent = requests.sparkSession.sparkContext.broadcast((a, Hops(a, transfers), _walks_by_stop(a)))
+    sent = groups.sparkSession.sparkContext.broadcast((a, Hops(a, transfers), _walks_by_stop(a)))
+    lists = targets.groupBy("g").agg(F.sort_array(F.collect_set("target")).alias("targets"))
+    work = groups.join(lists, "g").select("g", "source", "targets").repartition(max(1, groups.sparkSession.sparkContext.defaultParallelism * 4), "g")
 
     def run(batches: Iterator[pa.RecordBatch]):
         a, hops, walks = sent.value
         for b in batches:
-            rid, s, t, d = (np.asarray(c) for c in b.columns)
-            out = [segment_query(a, hops, int(x), int(y), int(z), k, walks) for x, y, z in zip(a.of(s), a.of(t), d, strict=True)]
+            for g, source, goals in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                s = int(a.of(source))
+                deps = set()
+                for stop, w in ((s, 0), *walks.get(s, ())):
+                    for r, i in a.calls[stop]:
+                        stops, times = a.routes[r]
+                        if i < len(stops) - 1:
+                            deps.update((times[i, :-1] - w).tolist())
+                deps = sorted((d for d in deps if lo <= d <= hi), reverse=True)
+                at = a.of(np.array(goals))
+                rows, scanned = profile_search(a, hops, s, {int(x): p for p, x in enumerate(at)}, deps, k, walks, with_trips)
+                cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
+                n = len(rows)
+                yield pa.record_batch([
+                    pa.array([g] * n, pa.int64()), pa.array([source] * n, pa.int64()), pa.array([goals[p] for p in cols[0]], pa.int64()),
+                    *(pa.array(c, pa.int32()) for c in cols[1:4]), pa.array(cols[4], pa.list_(pa.int64())), pa.array([scanned] * n, pa.int64()),
+                ], names=["g", "source", "target", "dep", "n", "arr", "trips", "scanned"])
+
+    return work.mapInArrow(run, "g long, source long, target long, dep int, n int, arr int, trips array<long>, scanned long")
+
+
+class Admission:
+    """Cells and fill-in in arrays: which routes and trips a request between two cells may use."""
+
+    def __init__(self, net: Arrays, routes: DataFrame, fillin: DataFrame):
+        """routes: (route_id, cell); fillin: (route_id, rank), one row per trip."""
+        number = {rid: r for r, (rid, _) in enumerate(net.trips)}
+        self.cell = np.zeros(len(net.routes), np.int64)
+        for rid, c in routes.select("route_id", "cell").toPandas().itertuples(index=False):
+            if rid in number:
+                self.cell[number[rid]] = c
+        self.trips = [np.zeros(len(ids), bool) for _, ids in net.trips]
+        for rid, rank in fillin.select("route_id", "rank").distinct().toPandas().itertuples(index=False):
+            self.trips[number[rid]][rank] = True
+        self.fill = np.array([t.any() for t in self.trips])
+
+    def routes(self, source_cell: np.ndarray, target_cell: np.ndarray) -> np.ndarray:
+        """(routes, requests): in one of the request's cells (0: none)."""
+        c = self.cell[:, None]
+        return ((c == source_cell) | (c == target_cell)) & (c > 0)
+
+
+_ASK = ["req_id", "source", "target"]
+
+
+def _asked(requests: DataFrame, cells: bool) -> DataFrame:
+    """Requests as the blocks take them; with cells also src_cell and tgt_cell, 0 for none."""
+    extra = [F.coalesce(c, F.lit(0)).cast("int").alias(c) for c in ("src_cell", "tgt_cell")] if cells else []
+    return requests.select(*_ASK, F.col("dep").cast("int").alias("dep"), *extra)
+
+
+def segment_blocks(net: Network, transfers: DataFrame, requests: DataFrame, k: int = 4, arrays: Arrays | None = None, hops: "Hops | None" = None, cells: Admission | None = None) -> DataFrame:
+    """(req_id, n, arr), improvements only: the trip-segment search request by request inside tasks,
+    against a timetable and transfers that are broadcast after a check of their sizes. cells: requests
+    carry src_cell and tgt_cell and use only what these admit."""
+    a = arrays or Arrays(net)
+    sent = requests.sparkSession.sparkContext.broadcast((a, hops or Hops(a, transfers), _walks_by_stop(a), cells))
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        a, hops, walks, cells = sent.value
+        for b in batches:
+            rid, s, t, d, *own = (np.asarray(c) for c in b.columns)
+            free = cells.routes(*own).T if cells else [None] * len(rid)
+            out = [segment_query(a, hops, int(x), int(y), int(z), k, walks, None if f is None else (f, cells.trips)) for x, y, z, f in zip(a.of(s), a.of(t), d, free, strict=True)]
             out = np.array(out, np.int32).reshape(len(rid), k + 1).T
             first = np.vstack([np.full((1, len(rid)), _NEVER, np.int32), out[:-1]])
             n, at = np.nonzero(out < first)
             yield pa.record_batch([pa.array(rid[at]), pa.array(n.astype(np.int32)), pa.array(out[n, at])], names=["req_id", "n", "arr"])
 
-    return requests.select("req_id", "source", "target", F.col("dep").cast("int").alias("dep")).mapInArrow(run, "req_id long, n int, arr int")
+    return _asked(requests, cells is not None).mapInArrow(run, "req_id long, n int, arr int")
 
 
-def route_blocks(net: Network, requests: DataFrame, k: int = 4, block: int = 1024, arrays: Arrays | None = None) -> DataFrame:
+def route_blocks(net: Network, requests: DataFrame, k: int = 4, block: int = 1024, arrays: Arrays | None = None, cells: Admission | None = None) -> DataFrame:
     """(req_id, n, arr), improvements only, for requests of any number: tasks take blocks against the
-    broadcast timetable; memory is stops times block."""
+    broadcast timetable; memory is stops times block. cells: as in segment_blocks, by whole routes."""
     a = arrays or Arrays(net)
-    sent = requests.sparkSession.sparkContext.broadcast(a)
+    sent = requests.sparkSession.sparkContext.broadcast((a, cells))
 
     def run(batches: Iterator[pa.RecordBatch]):
-        a = sent.value
+        a, cells = sent.value
         for whole in batches:
             for lo in range(0, whole.num_rows, block):
                 b = whole.slice(lo, block)
-                rid, s, t, d = (np.asarray(c) for c in b.columns)
-                out = round_labels(a, a.of(s), a.of(t), d.astype(np.int32), k)
+                rid, s, t, d, *own = (np.asarray(c) for c in b.columns)
+                admit = cells.routes(*own) | cells.fill[:, None] if cells else None
+                out = round_labels(a, a.of(s), a.of(t), d.astype(np.int32), k, admit=admit)
                 first = np.vstack([np.full((1, len(rid)), _NEVER, np.int32), out[:-1]])
                 n, at = np.nonzero(out < first)
                 yield pa.record_batch([pa.array(rid[at]), pa.array(n.astype(np.int32)), pa.array(out[n, at])], names=["req_id", "n", "arr"])
 
-    return requests.select("req_id", "source", "target", F.col("dep").cast("int").alias("dep")).mapInArrow(run, "req_id long, n int, arr int")
+    return _asked(requests, cells is not None).mapInArrow(run, "req_id long, n int, arr int")

@@ -9,6 +9,9 @@ from . import cells, partition
 from .hypergraph import Hypergraph
 from .schema import Network
 
+#: Cut stops whose pairs may be listed.
+MOST_CUTS = 100_000
+
 
 def split(h: Hypergraph, parents: int, children: int, imbalance: float = 0.2, seed: int = 0) -> DataFrame:
     """(node_id, parent, cell): parents cells by the multilevel partitioner, then every parent's own part
@@ -39,7 +42,7 @@ def pairs(net: Network, nested_cells: DataFrame, mode: str = "strict") -> DataFr
     h = hset.select("stop_id", "parent").distinct()
     a = lambda d: d.select(F.col("stop_id").alias("src_stop"), *[c for c in d.columns if c != "stop_id"])
     b = lambda d: d.select(F.col("stop_id").alias("dst_stop"), *[c for c in d.columns if c != "stop_id"])
-    out = a(t).withColumn("one_", F.lit(1)).join(b(t).withColumn("one_", F.lit(1)), "one_").select("src_stop", "dst_stop")
+    out = flat_pairs(t)
     out = out.union(a(g).join(b(h), "parent").select("src_stop", "dst_stop")).union(a(h).join(b(g), "parent").select("src_stop", "dst_stop"))
     if mode == "siblings":
         other = b(hset).withColumnRenamed("cell", "cell2")
@@ -50,10 +53,13 @@ def pairs(net: Network, nested_cells: DataFrame, mode: str = "strict") -> DataFr
 
 
 def flat_pairs(cuts: DataFrame) -> DataFrame:
-    """All ordered pairs of cut stops: a list of cut stops squared, which is what a flat partition costs."""
-    one = cuts.select("stop_id").withColumn("one_", F.lit(1))
-    p = one.select(F.col("stop_id").alias("src_stop"), "one_").join(one.select(F.col("stop_id").alias("dst_stop"), "one_"), "one_")
-    return p.where("src_stop <> dst_stop").select("src_stop", "dst_stop")
+    """All ordered pairs of cut stops: a list of cut stops squared, which is what a flat partition costs.
+    One side is a list of at most MOST_CUTS stops, checked, that goes to every task of the other."""
+    n = cuts.count()
+    if n > MOST_CUTS:
+        raise ValueError(f"{n} cut stops: as many pairs squared are no fill-in to compute; use fewer cells")
+    dst = cuts.select(F.col("stop_id").alias("dst_stop"))
+    return cuts.select(F.col("stop_id").alias("src_stop")).join(F.broadcast(dst), F.col("src_stop") != F.col("dst_stop"))
 
 
 def tagged(found: DataFrame, net: Network, nested_cells: DataFrame) -> DataFrame:

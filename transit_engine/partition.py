@@ -12,6 +12,8 @@ from .storage import written
 
 #: Nodes of the coarsest level that the driver may hold; a level is contracted in Spark until it fits.
 DRIVER_NODES = 20_000
+#: What the driver takes where contraction ends early, nodes and pins; beyond it an error is raised.
+MOST_NODES, MOST_PINS = 200_000, 5_000_000
 #: Edges with more pins don't rate node pairs (they still count in every cut).
 RATED_PINS = 60
 
@@ -156,11 +158,11 @@ def _small(nodes: pd.DataFrame, pins: pd.DataFrame, edges: pd.DataFrame) -> tupl
 
 def multilevel(h: Hypergraph, p: int, imbalance: float = 0.2, seed: int = 0, coarsen: str = "mutual", driver_nodes: int = DRIVER_NODES) -> DataFrame:
     """(node_id, cell 1..p): coarsen in Spark until the level fits the driver, partition it there by
-    greedy growth and moves, hand cells down. A cell weighs at most (1 + imbalance) of the mean."""
+    greedy growth and moves, hand cells down and move single nodes on the finest level. A cell weighs at most (1 + imbalance) of the mean."""
     spark = h.nodes.sparkSession
     total = h.nodes.agg(F.sum("weight")).first()[0] or 0.0
     level, down = Hypergraph(written(h.nodes), written(h.pins), written(h.edges)), h.nodes.select("node_id", F.col("node_id").alias("into"))
-    size = level.nodes.count()
+    size = first = level.nodes.count()
     while size > max(driver_nodes, 40 * p):
         into = written(contract(level, (1 + imbalance) * total / p / 3, coarsen))
         down = written(down.join(into.select(F.col("node_id").alias("into"), F.col("into").alias("up")), "into").select("node_id", F.col("up").alias("into")))
@@ -169,10 +171,50 @@ def multilevel(h: Hypergraph, p: int, imbalance: float = 0.2, seed: int = 0, coa
         if now > 0.95 * size:
             break
         size = now
+    if size > MOST_NODES or level.pins.count() > MOST_PINS:
+        raise ValueError(f"contraction ended at {size} nodes, too many for the driver")
     ids, small = _small(level.nodes.toPandas(), level.pins.toPandas(), level.edges.select("edge_id", "weight").toPandas())
     cell = small.solve(p, imbalance, seed)
     cells = spark.createDataFrame(pd.DataFrame({"into": ids, "cell": (cell + 1).astype(np.int32)}), "into bigint, cell int")
-    return written(down.join(cells, "into").select("node_id", "cell"))
+    top = written(down.join(cells, "into").select("node_id", "cell"))
+    return top if size == first else refined(h, top, p, (1 + imbalance) * total / p)
+
+
+def refined(h: Hypergraph, cells: DataFrame, p: int, most: float, passes: int = 4) -> DataFrame:
+    """cells after single moves on the finest level, all in Spark. A pass scores every node at the border
+    against all cells by the edges that a move would join or cut, and takes moves of positive gain that
+    start in one cell, lead into one other and touch no edge together: of the nodes of an edge only the
+    one of greatest gain may move. What a cell may still take is shared in order of gain."""
+    pins, edges = h.pins, h.edges.select("edge_id", F.col("weight").alias("w"))
+    for number in range(passes):
+        own = pins.join(cells, "node_id")
+        count = own.groupBy("edge_id", "cell").agg(F.count("*").alias("k"))
+        size = count.groupBy("edge_id").agg(F.sum("k").alias("size"), F.count("*").alias("parts")).where("parts > 1")
+        # moving a lone pin to the only other cell of its edge joins the edge
+        cut = own.join(size, "edge_id").join(edges, "edge_id")
+        here = cut.join(count.withColumnRenamed("k", "mine"), ["edge_id", "cell"])
+        other = count.select("edge_id", F.col("cell").alias("to"), F.col("k").alias("theirs"))
+        joins = here.join(other, "edge_id").where("`to` <> cell")
+        joins = joins.groupBy("node_id", "cell", "to").agg(F.sum(F.when(F.col("theirs") == F.col("size") - 1, F.col("w")).otherwise(0.0)).alias("up"))
+        whole = own.join(count.groupBy("edge_id").agg(F.count("*").alias("parts")).where("parts = 1"), "edge_id").join(edges, "edge_id")
+        loss = whole.groupBy("node_id").agg(F.sum("w").alias("down"))
+        gain = joins.join(loss, "node_id", "left").join(h.nodes.select("node_id", "weight"), "node_id")
+        gain = gain.withColumn("gain", F.round(F.col("up") - F.coalesce("down", F.lit(0.0)), 9)).where("gain > 0")
+        best = gain.groupBy("node_id").agg(F.max_by(F.struct("cell", "to", "weight", "gain"), F.struct("gain", -F.col("to"))).alias("m")).select("node_id", "m.*")
+        best = written(best)
+        lead = pins.join(best, "node_id").groupBy("edge_id").agg(F.max_by("node_id", F.struct("gain", -F.col("node_id"))).alias("lead"))
+        blocked = pins.join(best.select("node_id"), "node_id").join(lead, "edge_id").where("node_id <> lead").select("node_id").distinct()
+        free = best.join(blocked, "node_id", "left_anti")
+        load = cells.join(h.nodes.select("node_id", "weight"), "node_id").groupBy("cell").agg(F.sum("weight").alias("load"))
+        room = Window.partitionBy("to").orderBy(F.desc("gain"), "node_id").rowsBetween(Window.unboundedPreceding, 0)
+        free = free.join(load.withColumnRenamed("cell", "to"), "to").where(F.col("load") + F.sum("weight").over(room) <= most)
+        moves = written(free.select("node_id", F.col("to").alias("new")))
+        if not moves.limit(1).count():
+            break
+        cells = written(cells.join(moves, "node_id", "left").select("node_id", F.coalesce("new", "cell").alias("cell")))
+    return cells
+
+
 
 
 def each_parent(h: Hypergraph, top: DataFrame, children: int, imbalance: float = 0.2, seed: int = 0) -> DataFrame:
@@ -190,42 +232,44 @@ def each_parent(h: Hypergraph, top: DataFrame, children: int, imbalance: float =
     return written(whole.groupBy("parent").applyInPandas(one, "node_id long, cell int"))
 
 
-def exact(spark: SparkSession, h: Hypergraph, p: int, lo: int, hi: int, most_nodes: int = 24) -> DataFrame:
-    """(node_id, cell) of greatest uncut weight with lo..hi nodes per cell, by branch and bound: nodes in
-    order of the weight at them, empty cells used in order, bound by the edges not yet cut. For small
-    hypergraphs only; an edge counts if all its own pins share a cell."""
+def exact(spark: SparkSession, h: Hypergraph, p: int, lo: float, hi: float, most_nodes: int = 24) -> DataFrame:
+    """(node_id, cell) of greatest uncut weight with node weights of lo..hi in every cell, by branch and
+    bound: nodes in order of the edge weight at them, empty cells used in order, bound by the edges not
+    yet cut and the weight that is left. For small hypergraphs only; an edge counts if all its own pins
+    share a cell. If no partition keeps the bounds, an error says so."""
     ids, s = _small(h.nodes.toPandas(), h.pins.toPandas(), h.edges.select("edge_id", "weight").toPandas())
     n = len(ids)
     if n > most_nodes:
         raise ValueError(f"{n} nodes; the exact partitioner takes {most_nodes} at most")
     order = sorted(range(n), key=lambda v: (-sum(s.cost[e] for e in s.of_node[v]), v))
-    best, answer = [-1.0], [None]
-    cell, load = [-1] * n, [0] * p
+    ahead = np.append(np.cumsum([s.weight[v] for v in order][::-1])[::-1], 0.0)
+    best: list = [-1.0, None]
+    cell, load, size = [-1] * n, [0.0] * p, [0] * p
 
     def go(k: int, left: float, first: list):
-        if left <= best[0] or sum(max(0, lo - x) for x in load) > n - k:
+        if left <= best[0] or sum(max(0.0, lo - x) for x in load) > ahead[k] + 1e-9:
             return
         if k == n:
-            best[0], answer[0] = left, cell.copy()
+            best[:] = left, cell.copy()
             return
         v = order[k]
-        used = sum(x > 0 for x in load)
-        for c in range(min(p, used + 1)):
-            if load[c] == hi:
+        for c in range(min(p, sum(x > 0 for x in size) + 1)):
+            if load[c] + s.weight[v] > hi + 1e-9:
                 continue
-            lost = [e for e in s.of_node[v] if first[e] not in (-1, -2, c)]
-            mine = [e for e in s.of_node[v] if first[e] == -1]
-            nxt = first.copy()
-            for e in lost:
-                nxt[e] = -2
-            for e in mine:
-                nxt[e] = c
-            cell[v], load[c] = c, load[c] + 1
-            go(k + 1, left - sum(s.cost[e] for e in lost), nxt)
-            cell[v], load[c] = -1, load[c] - 1
+            nxt, lost = first.copy(), 0.0
+            for e in s.of_node[v]:
+                if nxt[e] == -1:
+                    nxt[e] = c
+                elif nxt[e] not in (-2, c):
+                    nxt[e], lost = -2, lost + s.cost[e]
+            cell[v], load[c], size[c] = c, load[c] + s.weight[v], size[c] + 1
+            go(k + 1, left - lost, nxt)
+            cell[v], load[c], size[c] = -1, load[c] - s.weight[v], size[c] - 1
 
     go(0, float(s.cost.sum()) + 1e-9, [-1] * len(s.pins))
-    return spark.createDataFrame([(int(i), c + 1) for i, c in zip(ids, answer[0], strict=True)], "node_id bigint, cell int")
+    if best[1] is None:
+        raise ValueError(f"no partition into {p} cells keeps node weights between {lo} and {hi}")
+    return spark.createDataFrame([(int(i), c + 1) for i, c in zip(ids, best[1], strict=True)], "node_id bigint, cell int")
 
 
 def by_column(net_nodes: DataFrame, column: str) -> DataFrame:

@@ -276,7 +276,7 @@ def od_segment_kernel(spark, sf_dir):
 
 @query(oracles.od())
 def od_layered_graph(spark, sf_dir):
-    return event_graph.route(_r(spark, sf_dir), _requests(spark, sf_dir), layers=K + 1)
+    return event_graph.layered(_r(spark, sf_dir), _requests(spark, sf_dir), K + 1)
 
 
 @query(oracles.od(mesh=True))
@@ -606,7 +606,7 @@ def fillin_fanout(spark, sf_dir):
 @query()
 def fillin_pairs(spark, sf_dir):
     net = _r(spark, sf_dir)
-    return fillin.compute(net, _transfers(spark, sf_dir), nested.flat_pairs(cells.cut_stops(_natural(spark, sf_dir)[1])), engine="pairs", lo=25200, hi=36000)
+    return fillin.compute(net, _transfers(spark, sf_dir), nested.flat_pairs(cells.cut_stops(_natural(spark, sf_dir)[1])), engine="pairs")
 
 
 @query()
