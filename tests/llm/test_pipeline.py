@@ -61,7 +61,7 @@ def test_only_similar_documents_go(spark, sf):
         rows.append((i, " ".join(w)))
     docs = spark.createDataFrame([*rows, (60, rows[0][1]), (61, None), (62, "")], "doc_id long, text string").repartition(3)
     text, ids = dict(rows), {}
-    for k in simhash_vptree.kept_documents(docs, reach=20).collect():
+    for k in simhash_vptree.kept_documents(docs, reach=20, heads=4).collect():
         ids[k.k_id] = 1
     assert {61}.isdisjoint({60}) and 60 not in ids and 1 < len(ids) < 60
     for i, t in rows:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import components, discard, doc_key, materialise, shield, table
@@ -193,15 +193,35 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.mapInArrow(run, f"{kinds}, sh array<long>")
 
 
-def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int = 5, similarity: float = 0.8) -> DataFrame:
+_KEPT = "group long, k_id long, k_text long, sh array<long>"
+
+
+def _greedy(similarity: float):
+    """Of a few documents of one group, in order, those that no earlier one that stays is similar to."""
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("k_id", "ascending"), ("k_text", "ascending")])
+        sets, kept = [np.asarray(x.values) for x in t["sh"]], []
+        for i, x in enumerate(sets):
+            common = (len(np.intersect1d(x, sets[j], assume_unique=True)) for j in kept)
+            if all(n < similarity * (len(x) + len(sets[j]) - n) for j, n in zip(kept, common, strict=True)):
+                kept.append(i)
+        return t.take(pa.array(kept, pa.int64()))
+
+    return run
+
+
+def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int = 5, similarity: float = 0.8, heads: int = 32) -> DataFrame:
     """(k_id, k_text) of the documents that stay: see doc_key.
 
     Groups of linked fingerprints are only where copies are looked for. Of equal texts the least id
-    stays. In a group of several texts the least document is the first to stay; every other one whose
-    share of common shingles of words words (Jaccard) with it is similarity or more goes, and the rest
-    starts over among itself, until nothing is left. So no document goes without one that stays and is
-    that similar to it, however long the chains of links are. A round is one join on the group, whose
-    larger side adaptive execution may split; only groups of several texts get that far."""
+    stays. In a group of several texts the first heads documents are compared with one another; one
+    whose share of common shingles of words words (Jaccard) with an earlier one that stays is similarity
+    or more goes. Then every other document of the group goes that is similar to one of those that
+    stay, and the rest starts over, until nothing is left. So no document goes without one that stays
+    and is that similar to it, however long the chains of links are. A round joins a group with heads
+    rows at most, and adaptive execution may split its larger side; only groups of several texts get
+    that far."""
     k_id, k_text = doc_key(docs)
     keyed = docs.select("doc_id", "text", k_id, k_text)
     prints = materialise(fingerprints(keyed, size, carry=("k_id", "k_text")))
@@ -214,15 +234,14 @@ def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int =
     same = (F.col("k_id") == F.col("i_")) & (F.col("k_text") == F.col("t_"))
     members = keyed.join(crowd.hint("merge"), same).select("group", "k_id", "k_text", "text").dropDuplicates(["k_id", "k_text"])
     live = materialise(shingle_sets(members, words))
+    order = Window.partitionBy("group").orderBy("k_id", "k_text")
     while live.limit(1).count():
-        order = F.struct("k_id", "k_text")
-        first = live.groupBy("group").agg(F.min_by(F.struct("k_id", "k_text", "sh"), order).alias("f"))
-        first = materialise(first.select("group", F.col("f.k_id").alias("f_id"), F.col("f.k_text").alias("f_text"), F.col("f.sh").alias("f_sh")))
-        stays = stays.union(first.select(F.col("f_id").alias("k_id"), F.col("f_text").alias("k_text")))
+        few = live.withColumn("r", F.row_number().over(order)).where(F.col("r") <= heads).drop("r")
+        first = materialise(few.groupBy("group").applyInArrow(_greedy(similarity), _KEPT))
+        stays = stays.union(first.select("k_id", "k_text"))
         both = F.size(F.array_intersect("sh", "f_sh"))
-        far = both < similarity * (F.size("sh") + F.size("f_sh") - both)
-        rest = live.join(first.hint("merge"), "group").where(far & ~((F.col("k_id") == F.col("f_id")) & (F.col("k_text") == F.col("f_text"))))
-        rest = materialise(rest.select("group", "k_id", "k_text", "sh"))
+        close = live.join(first.select("group", F.col("sh").alias("f_sh")).hint("merge"), "group").where(both * (1 + similarity) >= similarity * (F.size("sh") + F.size("f_sh")) - 1e-9)
+        rest = materialise(live.join(close.select("k_id", "k_text").distinct().hint("merge"), ["k_id", "k_text"], "left_anti").select(*live.columns))
         discard(live)
         live = rest
     discard(prints, points, of_fp)
