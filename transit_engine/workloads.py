@@ -88,6 +88,24 @@ def toy_hyperedges(spark, sf_dir):
     return at.groupBy("stop_id").agg(F.countDistinct("node_id").alias("pins")).where("pins > 1")
 
 
+#: The toy network's hyperedges over its routes 1..5 (0..4) and its walk (5), every assignment to three cells tried.
+_ALL_PARTITIONS = """WITH e AS (SELECT * FROM (VALUES (1, [0, 1]), (2, [0, 2]), (3, [0, 5]), (4, [1, 3]), (5, [2, 3, 4]), (6, [4, 5])) t(e, pins)),
+a AS (SELECT i, [(i // (3 ** x)::BIGINT) % 3 FOR x IN range(0, 6)] AS c FROM range(0, 729) r(i)),
+ok AS (SELECT i, c FROM a WHERE len([x FOR x IN range(0, 3) IF len([y FOR y IN c IF y = x]) BETWEEN 1 AND 3]) = 3),
+u AS (SELECT i, count(*) FILTER (len(list_distinct([c[q + 1] FOR q IN pins])) = 1) AS uncut FROM ok, e GROUP BY i)
+SELECT 3::BIGINT AS cells, max(uncut)::DOUBLE AS uncut FROM u"""
+
+
+@query(_ALL_PARTITIONS)
+def partition_exact_toy_quality(spark, sf_dir):
+    """How many cells keep the bounds, and the weight of uncut edges, which is the greatest possible."""
+    h = hypergraph.build(derive.toy(spark), 1)
+    c = written(partition.exact(spark, h, 3, 1, 3))
+    load = c.join(h.nodes, "node_id").groupBy("cell").agg(F.sum("weight").alias("w")).where("w between 1 and 3")
+    q = metrics.partition_quality(h, c)
+    return load.agg(F.count("*").alias("cells")).join(F.broadcast(q.select((F.col("all_weight") - F.col("cut_weight")).alias("uncut"))))
+
+
 @query()
 def partition_exact_toy(spark, sf_dir):
     h = hypergraph.build(derive.toy(spark), 1)
@@ -213,6 +231,15 @@ def transfers_reduced_count(spark, sf_dir):
     return transfers.sizes(_transfers(spark, sf_dir, reduce=False), _transfers(spark, sf_dir))
 
 
+@query("SELECT 0::BIGINT AS req_id, 0 AS n, 0 AS arr_a, 0 AS arr_b WHERE false")
+def transfer_set_differences(spark, sf_dir):
+    """Answers with all, the weakly and the fully reduced transfers that differ: none."""
+    net, raw, q = _r(spark, sf_dir), _transfers(spark, sf_dir, reduce=False), _requests(spark, sf_dir)
+    a = kernels.Arrays(net)
+    full, weak, every = (written(kernels.segment_blocks(net, t, q, K, a)) for t in (_transfers(spark, sf_dir), transfers.weakly_reduced(net, raw), raw))
+    return metrics.diff(every, full).unionByName(metrics.diff(every, weak))
+
+
 @query()
 def transfers_weakly_reduced_count(spark, sf_dir):
     net, raw = _r(spark, sf_dir), _transfers(spark, sf_dir, reduce=False)
@@ -414,12 +441,26 @@ def profile_pairs_rounds(spark, sf_dir):
     return _profile_rows(range_router.fanout_rounds(_r(spark, sf_dir), *range_router.as_pairs(*_few(spark, sf_dir)), *RANGE))
 
 
-@query()
+@query(_PROFILE)
+def profile_fanout_arrays(spark, sf_dir):
+    return kernels.fanout_blocks(_r(spark, sf_dir), _transfers(spark, sf_dir), *_few(spark, sf_dir), *RANGE).select("source", "target", "dep", "n", "arr")
+
+
+@query(f"""WITH prof AS ({_PROFILE}), lk AS (SELECT source, target, n, min(arr) AS arr FROM prof WHERE dep >= 26000 GROUP BY ALL)
+SELECT source, target, n, arr FROM (SELECT *, min(arr) OVER (PARTITION BY source, target ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS b FROM lk) WHERE b IS NULL OR arr < b""")
 def profile_lookup(spark, sf_dir):
     p = range_router.fanout_segments(_r(spark, sf_dir), _transfers(spark, sf_dir), *_few(spark, sf_dir), *RANGE).rows
     g, t = _few(spark, sf_dir)
     q = t.select(F.xxhash64("g", "target").alias("req_id"), F.col("g").alias("source"), "target", F.lit(26000).alias("dep"))
-    return range_router.lookup(p, q)
+    return range_router.lookup(p, q).join(q, "req_id").select("source", "target", "n", "arr")
+
+
+@query()
+def profile_day_70x70(spark, sf_dir):
+    """A day's profiles between the 70 first sources and the 70 first targets of all requests."""
+    q, net = _all_requests(spark, sf_dir), _r(spark, sf_dir)
+    s, t = (q.select(c).distinct().orderBy(c).limit(70) for c in ("source", "target"))
+    return kernels.fanout_blocks(net, _transfers(spark, sf_dir), *range_router.groups_of(net, s, t), derive.DAY_START, derive.DAY_END).select("source", "target", "dep", "n", "arr")
 
 
 _TEN = "rq10 AS (SELECT * FROM rq WHERE req_id <= 10)"
@@ -655,6 +696,37 @@ def _labelled(spark, d, stop_cells):
     return cells.label_requests(_requests(spark, d), stop_cells)
 
 
+def _admitted(spark, d, nodes, fill):
+    net = _r(spark, d)
+    a = kernels.Arrays(net)
+    return a, kernels.Admission(a, cells.route_cells(nodes), fillin.as_trips(net, fill))
+
+
+@query(oracles.od())
+def od_pruned_segment_arrays(spark, sf_dir):
+    net, (nodes, stops) = _r(spark, sf_dir), _natural(spark, sf_dir)
+    a, own = _admitted(spark, sf_dir, nodes, _fillin(spark, sf_dir))
+    return kernels.segment_blocks(net, _transfers(spark, sf_dir), _labelled(spark, sf_dir, stops), K, a, cells=own)
+
+
+@query(oracles.od())
+def od_pruned_round_arrays(spark, sf_dir):
+    net, (nodes, stops) = _r(spark, sf_dir), _natural(spark, sf_dir)
+    a, own = _admitted(spark, sf_dir, nodes, _fillin(spark, sf_dir))
+    return kernels.route_blocks(net, _labelled(spark, sf_dir, stops), K, arrays=a, cells=own)
+
+
+@query("SELECT 0::BIGINT AS req_id, 0 AS n, 0 AS arr_a, 0 AS arr_b WHERE false")
+def fillin_engine_differences(spark, sf_dir):
+    """Pruned searches by the fill-ins of the engines that differ: none."""
+    net, (nodes, stops) = _r(spark, sf_dir), _natural(spark, sf_dir)
+    pairs, ask, got = nested.flat_pairs(cells.cut_stops(stops)), _labelled(spark, sf_dir, stops), []
+    for engine in ("fanout", "arrays"):
+        a, own = _admitted(spark, sf_dir, nodes, written(fillin.compute(net, _transfers(spark, sf_dir), pairs, engine=engine)))
+        got.append(written(kernels.segment_blocks(net, _transfers(spark, sf_dir), ask, K, a, cells=own)))
+    return metrics.diff(*got)
+
+
 @query(oracles.od())
 def od_pruned_segments(spark, sf_dir):
     net, (nodes, stops) = _r(spark, sf_dir), _natural(spark, sf_dir)
