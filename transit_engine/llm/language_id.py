@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held_out, shield, table
+from .common import held_out, least_hashed, shield, table
 
 _PAD = 256
 
@@ -151,8 +151,10 @@ def train(docs: DataFrame, sample: int = 3000, piece: int = 48, steps: int = 120
     are not held out, one piece of 4 * piece characters of each. Only text and lang are seen."""
     use = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
     at = F.pmod(F.xxhash64("text", F.lit("at")), F.greatest(F.lit(1), F.length("text") - 4 * piece)) + 1
-    some = use.select("lang", F.col("text").substr(at.cast("int"), F.lit(4 * piece)).alias("part"), F.xxhash64("text", "doc_id").alias("o"))
-    rows = some.orderBy("o", "part").limit(sample).collect()
+    n = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).count()
+    few = least_hashed(use, F.xxhash64("text", "doc_id"), sample, n)
+    some = few.select("lang", F.col("text").substr(at.cast("int"), F.lit(4 * piece)).alias("part"), "h_")
+    rows = sorted(some.collect(), key=lambda r: (r["h_"], r["lang"], r["part"]))
     langs = sorted({r["lang"] for r in rows})
     if not langs:
         return [], None

@@ -8,7 +8,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, discard, doc_key, materialise, shield, table
+from .common import components, discard, doc_key, least_hashed, materialise, shield, table
 
 _ALL = np.uint64(0x0101010101010101)
 
@@ -128,8 +128,8 @@ def linked_groups(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, samp
     all that is broadcast. Every point is placed; every leaf is one group of the shuffle."""
     n = points.count()
     depth = min(max_depth, max(0, int(np.ceil(np.log2(max(1, n) / leaf_rows)))))
-    rows = points.select("fp").orderBy(F.xxhash64("fp")).limit(sample_rows).collect()
-    sample = np.array([r[0] for r in rows], np.int64).view(np.uint64)
+    rows = least_hashed(points.select("fp"), F.xxhash64("fp"), sample_rows, n).collect()
+    sample = np.array([r["fp"] for r in sorted(rows, key=lambda r: r["h_"])], np.int64).view(np.uint64)
     tree = points.sparkSession.sparkContext.broadcast(build_tree(sample, depth))
 
     def spread(batches):

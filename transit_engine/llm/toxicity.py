@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held_out, table
+from .common import held_out, least_hashed, table
 
 #: Terms for groups of people; those of one row may stand for each other in a sentence (fixed values).
 IDENTITY_TERMS = (
@@ -130,7 +130,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 8000, pull: float =
     however many rows repeat an id. An id with several labels counts as label 1 if one of them is."""
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     known = known.groupBy(F.col("doc_id").alias("id_")).agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
-    known = known.orderBy(F.xxhash64("id_"), "id_").limit(sample)
+    known = least_hashed(known, F.xxhash64("id_"), sample, known.count())
     rows = docs.join(known, F.col("doc_id") == F.col("id_")).select("toxic", "text", F.xxhash64("id_", "text").alias("o"))
 
     def run(batches):

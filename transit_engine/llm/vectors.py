@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import least_hashed, materialise
 
 
 def valid(vectors: DataFrame) -> DataFrame:
@@ -42,5 +42,5 @@ def matrix(column) -> np.ndarray:
 
 def sample_matrix(df: DataFrame, column: str, rows: int) -> np.ndarray:
     """The rows vectors of least hash, on the driver: a bounded sample to fit on."""
-    got = df.select(column, F.xxhash64(column).alias("o")).orderBy("o").limit(rows).select(column).toArrow()
+    got = least_hashed(df.select(column), F.xxhash64(column), rows, df.count()).select(column, "h_").toArrow().sort_by("h_")
     return matrix(got[column])
