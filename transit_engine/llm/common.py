@@ -77,8 +77,8 @@ def least_hashed(df: DataFrame, h: Column, rows: int, n: int) -> DataFrame:
     """The rows rows of df of least hash h (long, in column h_), where df has n rows or fewer. Only hashes
     below a bound that leaves about three times as many are sorted, as else every partition would send
     as many rows to the one place where they meet. With hashes that repeat very often it may be fewer."""
-    share = min(1.0, (3 * rows + 1000) / max(1, n))
-    return df.withColumn("h_", h).where(F.col("h_") <= -(2**63) + int(share * (2**64 - 1))).orderBy("h_").limit(rows)
+    bound = min(2**63 - 1, (3 * rows + 1000) * 2**64 // max(1, n) - 2**63)
+    return df.withColumn("h_", h).where(F.col("h_") <= bound).orderBy("h_").limit(rows)
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
