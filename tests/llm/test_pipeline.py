@@ -71,6 +71,24 @@ def test_only_similar_documents_go(spark, sf):
     assert all(_jaccard(text[a], text[b]) < 0.8 for k, a in enumerate(kept) for b in kept[k + 1 :])
 
 
+def test_near_copies_go(spark):
+    """Copies with words replaced, similarity 0.8 to 0.95, of texts over a small vocabulary; nearly all go, nothing else."""
+    r = random.Random(11)
+    vocabulary = [f"v{i}" for i in range(800)]
+    texts = {i: [r.choice(vocabulary) for _ in range(r.randrange(80, 400))] for i in range(600)}
+    copies = {}
+    for i in range(300):
+        w = list(texts[i])
+        while _jaccard(" ".join(texts[i]), " ".join(w)) > 0.95 - i / 2400:
+            w[r.randrange(len(w))] = r.choice(vocabulary)
+        if _jaccard(" ".join(texts[i]), " ".join(w)) >= 0.8:
+            copies[1000 + i] = w
+    rows = [(i, " ".join(w)) for i, w in (texts | copies).items()]
+    kept = {k.k_id for k in simhash_vptree.kept_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert set(texts) <= kept and len(copies) > 250
+    assert len(set(copies) - kept) >= 0.9 * len(copies)
+
+
 def test_stages_against_brute_force(spark):
     """Line dedup and near-dedup of the given documents, by plain Python."""
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")

@@ -22,26 +22,28 @@ def text_fingerprint(words: list[bytes], size: int = 3) -> int:
     else:
         shingles = map(b" ".join, zip(*(words[i:] for i in range(size)), strict=False))
     digest = xxhash.xxh64_intdigest
-    h = np.fromiter((digest(s, 42) for s in shingles), np.uint64)
+    return majority(np.fromiter((digest(s, 42) for s in shingles), np.uint64))
+
+
+def majority(h: np.ndarray) -> int:
+    """Bit b is 1 if it is set in over half of the hashes; of none: 0."""
     counts = np.zeros(64, np.int64)
     for at in range(0, len(h), 1 << 15):
         counts += np.unpackbits(h[at : at + (1 << 15)].view(np.uint8), bitorder="little").reshape(-1, 64).sum(0, dtype=np.int64)
     return int(np.packbits(2 * counts > len(h), bitorder="little").view(np.uint64)[0])
 
 
-def fingerprints(docs: DataFrame, size: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
+def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
     """(doc_id, fp long): the fingerprint of every row's whole text, A-Z lower-cased,
-    split at white space. Null text has no words. With carry (long columns of docs) those and fp
-    instead."""
-    keys = carry or ("doc_id",)
-    kinds = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keys)
+    split at white space. Null text has no words."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
         for b in batches:
-            out = [text_fingerprint(t.lower().split() if t else [], size) for t in b.column(len(keys)).cast(pa.binary()).to_pylist()]
-            yield pa.record_batch([*b.columns[:-1], pa.array(np.array(out, np.uint64).view(np.int64))], names=[*keys, "fp"])
+            out = [text_fingerprint(t.lower().split() if t else [], size) for t in b.column(1).cast(pa.binary()).to_pylist()]
+            yield pa.record_batch([b.column(0), pa.array(np.array(out, np.uint64).view(np.int64))], names=["doc_id", "fp"])
 
-    return docs.select(*keys, "text").mapInArrow(run, f"{kinds}, fp long")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp long")
 
 
 # --- the tree -----------------------------------------------------------------------------------
@@ -77,14 +79,16 @@ def place(fp: np.ndarray, vantage: np.ndarray, radius: np.ndarray, reach: int) -
     return row, node
 
 
-def link_leaf(fp: np.ndarray, node_id: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
+def link_leaf(fp: np.ndarray, node_id: np.ndarray, reach: int, also: np.ndarray | None = None, also_reach: int = 64) -> tuple[np.ndarray, np.ndarray]:
     """A star forest (member, least member) of the groups that links within reach make of one leaf.
+    With also (second fingerprints) a link needs those within also_reach, too.
 
     Points are sorted by distance to one of them; only those whose distances differ by reach or less
     can be linked (triangle bound), a contiguous run. Links are unioned block by block, never listed."""
     d = np.bitwise_count(fp ^ fp[0]).astype(np.int64)
     order = np.lexsort((node_id, d))
     fp, node_id, d = fp[order], node_id[order], d[order]
+    also = also[order] if also is not None else None
     root = np.arange(len(fp))
 
     def find(x: int) -> int:
@@ -100,6 +104,9 @@ def link_leaf(fp: np.ndarray, node_id: np.ndarray, reach: int) -> tuple[np.ndarr
         i, j = np.nonzero(np.bitwise_count(fp[at:to, None] ^ fp[None, at:end]) <= reach)
         later = j > i
         i, j = i[later] + at, j[later] + at
+        if also is not None:
+            both = np.bitwise_count(also[i] ^ also[j]) <= also_reach
+            i, j = i[both], j[both]
         if len(i):
             while True:  # full compression, so that one look gives the group
                 up = root[root]
@@ -120,30 +127,42 @@ def link_leaf(fp: np.ndarray, node_id: np.ndarray, reach: int) -> tuple[np.ndarr
     return node_id[linked], own[linked]
 
 
-def linked_groups(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, sample_rows: int = 1 << 16, max_depth: int = 16) -> DataFrame:
+def linked_groups(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, sample_rows: int = 1 << 16, max_depth: int = 16, also_reach: int | None = None) -> DataFrame:
     """points: (fp long, node long), distinct in both. Returns (node, component) for every node that
     some other point lies within reach of, through chains of such links.
 
-    The tree is fitted on the sample_rows points of least hash; its nodes (at most 2**max_depth) are
-    all that is broadcast. Every point is placed; every leaf is one group of the shuffle."""
-    n = points.count()
-    depth = min(max_depth, max(0, int(np.ceil(np.log2(max(1, n) / leaf_rows)))))
-    rows = least_hashed(points.select("fp"), F.xxhash64("fp"), sample_rows, n).collect()
-    sample = np.array([r["fp"] for r in sorted(rows, key=lambda r: r["h_"])], np.int64).view(np.uint64)
-    tree = points.sparkSession.sparkContext.broadcast(build_tree(sample, depth))
+    With a column kind (small ints) points of different kinds never meet: each kind has a tree of its
+    own. With also_reach the nodes, read as fingerprints, must lie within that of each other, too.
+
+    Each tree is fitted on its kind's part of the sample_rows points of least hash; the nodes (at most
+    2**max_depth a kind) are all that is broadcast. Every point is placed; every leaf is one group of
+    the shuffle."""
+    points = points.select("fp", "node", (F.col("kind") if "kind" in points.columns else F.lit(0)).cast("long").alias("kind"))
+    kinds = {r["kind"]: r["n"] for r in points.groupBy("kind").agg(F.count("*").alias("n")).collect()}
+    n = sum(kinds.values())
+    rows = least_hashed(points.select("fp", "kind"), F.xxhash64("fp") if len(kinds) < 2 else F.xxhash64("fp", "kind"), sample_rows, n).collect()
+    sample = {k: [] for k in kinds}
+    for r in sorted(rows, key=lambda r: r["h_"]):
+        sample[r["kind"]].append(r["fp"])
+    depth = {k: min(max_depth, max(0, int(np.ceil(np.log2(max(1, m) / leaf_rows))))) for k, m in kinds.items()}
+    trees = points.sparkSession.sparkContext.broadcast({k: build_tree(np.array(x, np.int64).view(np.uint64), depth[k]) for k, x in sample.items()})
 
     def spread(batches):
-        vantage, radius = tree.value
         for b in batches:
-            row, leaf = place(b.column(0).to_numpy(zero_copy_only=False).view(np.uint64), vantage, radius, reach)
-            at = pa.array(row)
-            yield pa.record_batch([pa.array(leaf), b.column(0).take(at), b.column(1).take(at)], names=["leaf", "fp", "node"])
+            fp, kind = b.column(0).to_numpy(zero_copy_only=False).view(np.uint64), b.column(2).to_numpy(zero_copy_only=False)
+            for k in np.unique(kind).tolist():
+                of_kind = np.flatnonzero(kind == k)
+                row, leaf = place(fp[of_kind], *trees.value[k], reach)
+                at = pa.array(of_kind[row])
+                yield pa.record_batch([pa.array((k << (max_depth + 1)) + leaf), b.column(0).take(at), b.column(1).take(at)], names=["leaf", "fp", "node"])
 
     def link(t: pa.Table) -> pa.Table:
-        a, b = link_leaf(t["fp"].to_numpy().view(np.uint64), t["node"].to_numpy(), reach)
+        node = t["node"].to_numpy()
+        second = () if also_reach is None else (node.view(np.uint64), also_reach)
+        a, b = link_leaf(t["fp"].to_numpy().view(np.uint64), node, reach, *second)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    placed = points.select("fp", "node").mapInArrow(spread, "leaf long, fp long, node long")
+    placed = points.mapInArrow(spread, "leaf long, fp long, node long")
     return components(placed.groupBy("leaf").applyInArrow(link, "a long, b long"))
 
 
@@ -172,6 +191,53 @@ def op8_simhash_vptree(spark, sf_dir: str) -> DataFrame:
     return d.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def word_prints(docs: DataFrame, words: int, kinds: int) -> DataFrame:
+    """docs (long columns, then text) with the text replaced by node, the fingerprint of its shingles of
+    words words, and prints, as many fingerprints of its distinct single words as kinds says, each of
+    the words' hashes mixed in another way."""
+    keys = docs.columns[:-1]
+    names = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keys)
+    digest = xxhash.xxh64_intdigest
+    odd = [np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) % 2**64) for k in range(kinds)]
+
+    def run(batches):
+        for b in batches:
+            node, prints = [], []
+            for t in b.column(len(keys)).cast(pa.binary()).to_pylist():
+                w = t.lower().split() if t else []
+                node.append(text_fingerprint(w, words))
+                h = np.fromiter((digest(x, 42) for x in set(w)), np.uint64)
+                for k in odd:
+                    mixed = h * k
+                    mixed = (mixed ^ (mixed >> np.uint64(32))) * k
+                    prints.append(majority(mixed ^ (mixed >> np.uint64(29))))
+            ends = pa.array(np.arange(0, len(prints) + 1, kinds, dtype=np.int32))
+            flat = pa.array(np.array(prints, np.uint64).view(np.int64))
+            made = [pa.array(np.array(node, np.uint64).view(np.int64)), pa.ListArray.from_arrays(ends, flat)]
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], *made], names=[*keys, "node", "prints"])
+
+    return docs.mapInArrow(run, f"{names}, node long, prints array<long>")
+
+
+def copy_groups(prints: DataFrame, reach: int, also_reach: int) -> DataFrame:
+    """prints of word_prints(). (node, group) of every distinct node: groups are joined by links of any kind of
+    print, within reach, whose nodes lie within also_reach.
+
+    Nodes of one and the same print are linked with the least of them, where it lies within also_reach,
+    before the tree sees any: a crowd of near copies comes as one point, the others stay points."""
+    points = materialise(prints.select("node", F.posexplode("prints").alias("kind", "fp")).distinct())
+    least = materialise(points.groupBy("kind", "fp").agg(F.min("node").alias("least")))
+    led = materialise(points.join(least.hint("merge"), ["kind", "fp"]).withColumn("near", F.bit_count(F.col("node").bitwiseXOR(F.col("least"))) <= also_reach))
+    heads = materialise(led.where("not near or node = least").select("fp", "node", "kind"))
+    through = linked_groups(heads, reach, also_reach=also_reach)
+    stars = led.where("near and node <> least").select(F.col("node").alias("a"), F.col("least").alias("b")).distinct()
+    joined = components(stars.union(through.select(F.col("node").alias("a"), F.col("component").alias("b"))))
+    nodes = points.select("node").distinct()
+    groups = materialise(nodes.join(joined.hint("merge"), "node", "left").select("node", F.coalesce("component", "node").alias("group")))
+    discard(points, least, led, heads)
+    return groups
+
+
 def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     """docs (long columns, then text) with the text replaced by sh: the hashes of its distinct
     shingles, as in text_fingerprint."""
@@ -211,10 +277,14 @@ def _greedy(similarity: float):
     return run
 
 
-def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int = 5, similarity: float = 0.8, heads: int = 32) -> DataFrame:
+def kept_documents(docs: DataFrame, reach: int = 3, words: int = 5, similarity: float = 0.8, heads: int = 32, kinds: int = 6, also_reach: int = 16) -> DataFrame:
     """(k_id, k_text) of the documents that stay: see doc_key.
 
-    Groups of linked fingerprints are only where copies are looked for. Of equal texts the least id
+    Groups of linked fingerprints are only where copies are looked for. Replacing one word changes five
+    shingles but one single word, so prints of single words stay within reach where those of shingles
+    do not; several kinds of them find what one misses, and the shingles' own print (also_reach: a
+    similarity of 0.8 makes 9.5 of 64 bits differ on average, unrelated texts 32) keeps unrelated
+    texts of like words apart. Of equal texts the least id
     stays. In a group of several texts the first heads documents are compared with one another; one
     whose share of common shingles of words words (Jaccard) with an earlier one that stays is similarity
     or more goes. Then every other document of the group goes that is similar to one of those that
@@ -224,10 +294,9 @@ def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int =
     that far."""
     k_id, k_text = doc_key(docs)
     keyed = docs.select("doc_id", "text", k_id, k_text)
-    prints = materialise(fingerprints(keyed, size, carry=("k_id", "k_text")))
-    points = materialise(prints.select("fp", F.col("fp").alias("node")).distinct())
-    of_fp = materialise(points.join(linked_groups(points, reach), "node", "left").select("fp", F.coalesce("component", "node").alias("group")))
-    texts = materialise(prints.join(of_fp.hint("merge"), "fp").groupBy("group", "k_text").agg(F.min("k_id").alias("k_id")))
+    prints = materialise(word_prints(keyed.select("k_id", "k_text", "text"), words, kinds))
+    of_fp = copy_groups(prints, reach, also_reach)
+    texts = materialise(prints.select("k_id", "k_text", "node").join(of_fp.hint("merge"), "node").groupBy("group", "k_text").agg(F.min("k_id").alias("k_id")))
     several = texts.groupBy("group").agg(F.count("*").alias("n")).where("n > 1").select("group")
     stays = texts.join(several.hint("merge"), "group", "left_anti").select("k_id", "k_text")
     crowd = texts.join(several.hint("merge"), "group").select(F.col("k_id").alias("i_"), F.col("k_text").alias("t_"), "group")
@@ -244,7 +313,7 @@ def kept_documents(docs: DataFrame, size: int = 3, reach: int = 3, words: int =
         rest = materialise(live.join(close.select("k_id", "k_text").distinct().hint("merge"), ["k_id", "k_text"], "left_anti").select(*live.columns))
         discard(live)
         live = rest
-    discard(prints, points, of_fp)
+    discard(prints, of_fp)
     return stays
 
 
