@@ -127,9 +127,9 @@ def link_leaf(fp: np.ndarray, node_id: np.ndarray, reach: int, also: np.ndarray
     return node_id[linked], own[linked]
 
 
-def linked_groups(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, sample_rows: int = 1 << 16, max_depth: int = 16, also_reach: int | None = None) -> DataFrame:
-    """points: (fp long, node long), distinct in both. Returns (node, component) for every node that
-    some other point lies within reach of, through chains of such links.
+def links(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, sample_rows: int = 1 << 16, max_depth: int = 16, also_reach: int | None = None) -> DataFrame:
+    """points: (fp long, node long), distinct in both. Returns (a, b): links of nodes that join the same
+    groups as all pairs of points within reach of each other would.
 
     With a column kind (small ints) points of different kinds never meet: each kind has a tree of its
     own. With also_reach the nodes, read as fingerprints, must lie within that of each other, too.
@@ -163,7 +163,13 @@ def linked_groups(points: DataFrame, reach: int = 3, leaf_rows: int = 2048, samp
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     placed = points.mapInArrow(spread, "leaf long, fp long, node long")
-    return components(placed.groupBy("leaf").applyInArrow(link, "a long, b long"))
+    return placed.groupBy("leaf").applyInArrow(link, "a long, b long")
+
+
+def linked_groups(points: DataFrame, reach: int = 3, **tree) -> DataFrame:
+    """(node, component) for every node that some other point of links() lies within reach of, through
+    chains of such links."""
+    return components(links(points, reach, **tree))
 
 
 def near_duplicates(docs: DataFrame, size: int = 3, reach: int = 3) -> DataFrame:
@@ -229,9 +235,8 @@ def copy_groups(prints: DataFrame, reach: int, also_reach: int) -> DataFrame:
     least = materialise(points.groupBy("kind", "fp").agg(F.min("node").alias("least")))
     led = materialise(points.join(least.hint("merge"), ["kind", "fp"]).withColumn("near", F.bit_count(F.col("node").bitwiseXOR(F.col("least"))) <= also_reach))
     heads = materialise(led.where("not near or node = least").select("fp", "node", "kind"))
-    through = linked_groups(heads, reach, also_reach=also_reach)
     stars = led.where("near and node <> least").select(F.col("node").alias("a"), F.col("least").alias("b")).distinct()
-    joined = components(stars.union(through.select(F.col("node").alias("a"), F.col("component").alias("b"))))
+    joined = components(stars.union(links(heads, reach, also_reach=also_reach)))
     nodes = points.select("node").distinct()
     groups = materialise(nodes.join(joined.hint("merge"), "node", "left").select("node", F.coalesce("component", "node").alias("group")))
     discard(points, least, led, heads)
