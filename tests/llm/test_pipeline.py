@@ -105,3 +105,12 @@ def test_stages_against_brute_force(spark):
     assert kept <= set(first.values())
     for i in set(want) - kept:
         assert any(j < i and (want[j] or "") == (want[i] or "") or _jaccard(want[i] or "", want[j] or "") >= 0.8 for j in kept if j < i)
+
+
+def test_batches_change_nothing(spark):
+    """What near-dedup keeps does not depend on how many documents of a group are compared at once."""
+    words = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(words[: 40 + i % 20] + [f"x{i // 7}"] * (i % 5))) for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = [sorted(k.k_id for k in simhash_vptree.kept_documents(docs, reach=20, **batch).collect()) for batch in ({}, {"heads": 3}, {"head_shingles": 1})]
+    assert kept[0] == kept[1] == kept[2] and 1 < len(kept[0]) < 40

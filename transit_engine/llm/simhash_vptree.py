@@ -282,7 +282,7 @@ def _greedy(similarity: float):
     return run
 
 
-def kept_documents(docs: DataFrame, reach: int = 3, words: int = 5, similarity: float = 0.8, heads: int = 32, kinds: int = 6, also_reach: int = 16) -> DataFrame:
+def kept_documents(docs: DataFrame, reach: int = 3, words: int = 5, similarity: float = 0.8, heads: int = 256, head_shingles: int = 1 << 22, kinds: int = 6, also_reach: int = 16) -> DataFrame:
     """(k_id, k_text) of the documents that stay: see doc_key.
 
     Groups of linked fingerprints are only where copies are looked for. Replacing one word changes five
@@ -290,10 +290,12 @@ def kept_documents(docs: DataFrame, reach: int = 3, words: int = 5, similarity:
     do not; several kinds of them find what one misses, and the shingles' own print (also_reach: a
     similarity of 0.8 makes 9.5 of 64 bits differ on average, unrelated texts 32) keeps unrelated
     texts of like words apart. Of equal texts the least id
-    stays. In a group of several texts the first heads documents are compared with one another; one
+    stays. In a group of several texts the first heads documents (fewer, but one at least, where their
+    shingles are over head_shingles together) are compared with one another; one
     whose share of common shingles of words words (Jaccard) with an earlier one that stays is similarity
     or more goes. Then every other document of the group goes that is similar to one of those that
-    stay, and the rest starts over, until nothing is left. So no document goes without one that stays
+    stay, and the rest starts over, until nothing is left. Documents go in order, so what stays does not
+    depend on the size of a batch. So no document goes without one that stays
     and is that similar to it, however long the chains of links are. A round joins a group with heads
     rows at most, and adaptive execution may split its larger side; only groups of several texts get
     that far."""
@@ -310,7 +312,8 @@ def kept_documents(docs: DataFrame, reach: int = 3, words: int = 5, similarity:
     live = materialise(shingle_sets(members, words))
     order = Window.partitionBy("group").orderBy("k_id", "k_text")
     while live.limit(1).count():
-        few = live.withColumn("r", F.row_number().over(order)).where(F.col("r") <= heads).drop("r")
+        few = live.withColumn("r", F.row_number().over(order)).where(F.col("r") <= heads)
+        few = few.withColumn("upto", F.sum(F.size("sh").cast("long")).over(order)).where((F.col("upto") <= head_shingles) | (F.col("r") == 1)).drop("r", "upto")
         first = materialise(few.groupBy("group").applyInArrow(_greedy(similarity), _KEPT))
         stays = stays.union(first.select("k_id", "k_text"))
         both = F.size(F.array_intersect("sh", "f_sh"))
