@@ -101,6 +101,27 @@ def test_suffixes_against_sorting():
             assert n == min(9, len(os.path.commonprefix([suffix(a), suffix(b)])))
 
 
+def test_only_windows_are_sorted(monkeypatch):
+    """repeated_in against brute force; suffixes without a whole window are left out, but for a few."""
+    r, sizes, sort = random.Random(5), [], suffix_array.ordered
+    monkeypatch.setattr(suffix_array, "ordered", lambda pos, *a: sizes.append(len(pos)) or sort(pos, *a))
+    for trial in range(60):
+        width = r.choice([1, 3, 8, 30])
+        part = [bytes(r.choice(b"ab\0\xff"[: r.randint(1, 4)]) for _ in range(r.randint(0, 40))) for _ in range(4)]
+        ts = [b"".join(r.choice(part) for _ in range(r.randint(0, 4))) for _ in range(r.randint(1, 6))]
+        n = Counter(t[i : i + width] for t in ts for i in range(len(t) - width + 1))
+        got = suffix_array.repeated_in(ts, width)
+        assert [g.tolist() for g in got] == [[i for i in range(len(t) - width + 1) if n[t[i : i + width]] > 1] for t in ts], (trial, ts)
+    sizes.clear()
+    assert not any(map(len, suffix_array.repeated_in([bytes(r.choices(b"abcd", k=600)) for _ in range(20)], 400)))
+    assert 20 < sizes[0] <= 20 * 202
+    t, ends = suffix_array._joined([bytes(r.choices(b"ab", k=50)) for _ in range(3)])
+    sa = np.array([p for e in ends for p in range(e - 51, e - 5)])
+    r.shuffle(sa)
+    pair = np.arange(len(sa) - 1)
+    assert suffix_array.alike_windows(sa, t, 4, pair).tolist() == (suffix_array.adjacent_prefixes(sa, t, 4) >= 4).tolist()
+
+
 @pytest.mark.parametrize("width, passages", [(40, 4000), (40, 1), (400, 4000), (5, 4000)])
 def test_repeated_bytes(docs, rows, width, passages):
     got = table(suffix_array.drop_repeats(docs, width, passages))
