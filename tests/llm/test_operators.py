@@ -505,3 +505,20 @@ def test_mix_positions_reach_the_end(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     last = curriculum_mix.passes(docs).groupBy("source").agg({"position": "max"}).collect()
     assert len(last) > 3 and all(r[1] > 0.95 for r in last)
+
+
+def test_units_outlive_tasks_and_thinning(rows):
+    """A worker's tasks share one vocabulary and its units; where there are too many, those met often stay."""
+    vocabulary = piece_lattice.load_vocabulary()
+    held = piece_lattice._units_held("a job", vocabulary, 3)
+    assert piece_lattice._units_held("a job", vocabulary, 3) is held and piece_lattice._units_held("another", vocabulary, 3) is not held
+    texts = [t for _, t, *_ in rows]
+    want = piece_lattice.encode_batch(held.lattice, texts, 3)
+    few, got, sizes = piece_lattice.Segmented(held.lattice, 3, most=40), [], []
+    for lo in range(0, len(texts), 5):
+        old = set(few.code)
+        got += piece_lattice.encode_batch(held.lattice, texts[lo : lo + 5], 3, few)
+        sizes.append(len(old & set(few.code)))
+    assert 0 < max(sizes[2:]) and len(few.code) < len({u for t in texts for u in piece_lattice.units_of(t or "")})
+    for (ids, scores, every, ok), (ids2, scores2, every2, ok2) in zip(got, want, strict=True):
+        assert ids.tolist() == ids2.tolist() and scores == scores2 and ok == ok2 and [x.tolist() for x in every] == [x.tolist() for x in every2]

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import heapq
 import re
+import uuid
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +22,7 @@ _SPACE = "▁"
 _OWN = "\ud800"  # stands for a U+2581 of the text itself: no Spark string holds a lone surrogate
 _UNIT = re.compile(f"{_SPACE}+[^{_SPACE}\n]*|[^{_SPACE}\n]+|\n")
 _ODD = np.uint64(0x9E3779B97F4A7C15)
-_FALLBACK = -1
+_FALLBACK, _NONE, _BEGUN = -1, -2, -3  # a character that is no piece; nothing; what pieces only begin with
 
 
 def load_vocabulary(path: str = MODEL) -> tuple[list[str], list[float], int]:
@@ -57,10 +59,11 @@ class Lattice:
         self.id_of = {p: i for i, p in enumerate(pieces) if p}
         self.raw = [bytes([i - byte0]) if byte0 <= i < byte0 + 256 else p.replace(_SPACE, " ").encode() for i, p in enumerate(pieces)]
         self.longest = max(map(len, self.id_of))
+        begins = dict.fromkeys((p[:n] for p in self.id_of for n in range(1, len(p))), _BEGUN)
         keys = {}
-        for p, i in self.id_of.items():
+        for p, i in (begins | self.id_of).items():
             keys[int(self._grow(np.zeros(1, np.uint64), p)[0])] = i
-        assert len(keys) == len(self.id_of), "two pieces share a hash"
+        assert len(keys) == len(begins | self.id_of), "two pieces or beginnings share a hash"
         bits = 19
         while True:
             self.shift, self.keys, self.ids = np.uint64(64 - bits), np.zeros((1 << bits) + 8, np.uint64), np.zeros((1 << bits) + 8, np.int32)
@@ -85,7 +88,8 @@ class Lattice:
 
     def edges(self, cp: np.ndarray, end: np.ndarray):
         """All pieces of the units that the code points cp spell; end: for every position the end of
-        its unit. (start, length, id) with id -1 where a single character is no piece."""
+        its unit. (start, length, id) with id -1 where a single character is no piece. A start is left as
+        soon as no piece begins with what was read from it."""
         start, length, piece = [], [], []
         at, h = np.arange(len(cp)), np.zeros(len(cp), np.uint64)
         for n in range(1, self.longest + 1):
@@ -95,16 +99,19 @@ class Lattice:
                 break
             h = (h + (cp[at + n - 1].astype(np.uint64) + np.uint64(1))) * _ODD
             slot = ((h * _ODD) >> self.shift).astype(np.int64)
-            got = np.full(len(at), -2, np.int32)
-            for p in range(3):
-                same = self.keys[slot + p] == h
-                got[same] = self.ids[slot[same] + p]
+            got = np.where(self.keys[slot] == h, self.ids[slot], np.int32(_NONE))
+            for p in (1, 2):
+                some = np.flatnonzero(got == _NONE)
+                some = some[self.keys[slot[some] + p] == h[some]]
+                got[some] = self.ids[slot[some] + p]
+            known = got != _NONE
             if n == 1:
-                got[got == -2] = _FALLBACK
-            hit = got > -2
+                got[got < _FALLBACK] = _FALLBACK
+            hit = got >= _FALLBACK
             start.append(at[hit])
             length.append(np.full(int(hit.sum()), n))
             piece.append(got[hit])
+            at, h = at[known], h[known]
         return np.concatenate(start), np.concatenate(length), np.concatenate(piece)
 
     def segment(self, units: list[str]):
@@ -134,7 +141,7 @@ class Lattice:
         back = np.zeros(len(f), np.int64)
         for into, frm, stage, score in ((dst, src, rel + length, f), (src, dst, -rel, b)):
             key = ((stage - stage.min()) << 37) | (into << 5) | (31 - length)
-            order = np.argsort(key, kind="stable")
+            order = np.argsort(key)  # no two edges share a key
             st, node = stage[order], into[order]
             new = np.flatnonzero(np.concatenate([[True], node[1:] != node[:-1]]))
             cuts = np.flatnonzero(np.concatenate([[True], st[new][1:] != st[new][:-1], [True]]))
@@ -226,26 +233,42 @@ def units_of(text: str) -> list[str]:
 
 
 class Segmented:
-    """Segmentations of the units seen so far, emptied when there are most of them: frequent units are
-    searched once, and memory stays bounded."""
+    """Segmentations of the units seen so far; where there are most of them, those met only once go, then
+    the rarer ones, until half are left. Frequent units are searched once, and memory stays bounded."""
 
     def __init__(self, lattice: Lattice, n: int, most: int = 500_000):
         self.lattice, self.n, self.most = lattice, n, most
-        self.clear()
-
-    def clear(self):
         self.code: dict[str, int] = {}
-        self.ids, self.count, self.start = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.ids, self.count, self.start, self.met = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.best, self.second, self.exact = np.zeros(0), np.zeros(0), np.zeros(0, bool)
         self.losses: dict[str, list[tuple[float, np.ndarray | None]]] = {}
 
+    def thin(self):
+        """Leaves the most frequent half of most units at most; how often they were met counts half from then on."""
+        stay = np.flatnonzero(self.met > 1)
+        if len(stay) > self.most // 2:
+            stay = np.sort(stay[np.argpartition(-self.met[stay], self.most // 2)[: self.most // 2]])
+        reps = self.count[stay]
+        to = np.cumsum(reps) - reps
+        self.ids = self.ids[np.repeat(self.start[stay] - to, reps) + np.arange(int(reps.sum()))]
+        self.start, self.met = to, self.met[stay] // 2
+        for name in ("count", "best", "second", "exact"):
+            setattr(self, name, getattr(self, name)[stay])
+        units = list(self.code)
+        self.code = {units[k]: i for i, k in enumerate(stay.tolist())}
+        self.losses = {u: x for u, x in self.losses.items() if u in self.code}
+
     def codes(self, split: list[list[str]]) -> np.ndarray:
         if len(self.code) > self.most:
-            self.clear()
+            self.thin()
         code, old = self.code, len(self.code)
-        flat = np.fromiter((code.setdefault(u, len(code)) for us in split for u in us), np.int64)
-        if len(code) > old:
-            self._add(list(code)[old:])
+        units = list(chain.from_iterable(split))
+        new = [u for u in dict.fromkeys(units) if u not in code]
+        code.update(zip(new, range(old, old + len(new)), strict=True))
+        if new:
+            self._add(new)
+        flat = np.fromiter(map(code.__getitem__, units), np.int64, len(units))
+        self.met += np.bincount(flat, minlength=len(self.met))
         return flat
 
     def _add(self, new: list[str]):
@@ -258,6 +281,7 @@ class Segmented:
             exact = np.array([self.lattice.spell(ids[at[i] : at[i + 1]].tolist()) == self._plain([u]) for i, u in enumerate(new)])
         for name, more in (("ids", ids), ("count", count), ("best", best), ("second", second), ("exact", exact)):
             setattr(self, name, np.concatenate([getattr(self, name), more]))
+        self.met = np.concatenate([self.met, np.zeros(len(new), np.int64)])
 
     @staticmethod
     def _plain(units: list[str]) -> str:
@@ -315,6 +339,17 @@ def encode_batch(lattice: Lattice, texts: list[str | None], n: int = 3, seen: Se
     return out
 
 
+#: What a worker process holds for the tasks that follow: the name of a job, and its vocabulary and units.
+_held: list = [None, None]
+
+
+def _units_held(job: str, vocabulary, n: int) -> Segmented:
+    """The job's segmentations, made once per worker process and used by all its tasks."""
+    if _held[0] != job:
+        _held[:] = job, Segmented(Lattice(*vocabulary), n)
+    return _held[1]
+
+
 def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_000) -> DataFrame:
     """docs with ids (array of int), n_best (scores, best first), n_best_ids (the ids of each, so its first
     entry is ids) and round_trip (decoding gives the text).
@@ -329,10 +364,10 @@ def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_0
     docs = docs.select(*[c for c in docs.columns if c not in own])
     at = docs.columns.index("text")
     sent = docs.sparkSession.sparkContext.broadcast(load_vocabulary(model))
+    job = uuid.uuid4().hex
 
     def run(batches):
-        lattice = Lattice(*sent.value)
-        seen = Segmented(lattice, n)
+        seen = _units_held(job, sent.value, n)
         for whole in batches:
             lo = 0
             sizes = np.asarray(pa.compute.fill_null(pa.compute.utf8_length(whole.column(at)), 0))
@@ -341,7 +376,7 @@ def encode(docs: DataFrame, n: int = 3, model: str = MODEL, chars: int = 1_000_0
                 b = whole.slice(lo, hi - lo)
                 lo = hi
                 texts = b.column(at).to_pylist()
-                made = encode_batch(lattice, texts, n, seen)
+                made = encode_batch(seen.lattice, texts, n, seen)
                 offsets = np.concatenate([[0], np.cumsum([len(x) for x, *_ in made])]).astype(np.int32)
                 mask = pa.array([t is None for t in texts])
                 ids = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x for x, *_ in made])), mask=mask)
