@@ -5,7 +5,7 @@ from __future__ import annotations
 import heapq
 import re
 import uuid
-from itertools import chain
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -263,11 +263,13 @@ class Segmented:
             self.thin()
         code, old = self.code, len(self.code)
         units = list(chain.from_iterable(split))
-        new = [u for u in dict.fromkeys(units) if u not in code]
-        code.update(zip(new, range(old, old + len(new)), strict=True))
-        if new:
+        flat = np.fromiter(map(code.get, units, repeat(-1)), np.int64, len(units))
+        if len(gap := np.flatnonzero(flat < 0)):
+            unknown = [units[i] for i in gap.tolist()]
+            new = list(dict.fromkeys(unknown))
+            code.update(zip(new, range(old, old + len(new)), strict=True))
             self._add(new)
-        flat = np.fromiter(map(code.__getitem__, units), np.int64, len(units))
+            flat[gap] = np.fromiter(map(code.__getitem__, unknown), np.int64, len(unknown))
         self.met += np.bincount(flat, minlength=len(self.met))
         return flat
 
